@@ -9,7 +9,11 @@ from .chat import chat_digest, chat_examples
 from .common import read_table
 from .exact_dedup import exact_groups
 from .mixing import mix
+from .quality import crc_mod, fit_line_field, score_documents
+from .recompression import cut_repeats
+from .secrets import find_secrets
 from .simhash import near_components
+from .suffix_dedup import cut_repeated_bytes
 from .topk import top_k
 
 
@@ -17,6 +21,10 @@ def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op2_find_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_secrets(read_table(spark, sf_dir, "documents"))
+
+
 def op3_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_components(read_table(spark, sf_dir, "documents"), shingle=3)
 
@@ -29,6 +37,13 @@ def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(read_table(spark, sf_dir, "documents"), keep="max")
 
 
+def op7_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    model = fit_line_field(docs, read_table(spark, sf_dir, "labels"), train_if=crc_mod("doc_id", 4) != 2)
+    scored = score_documents(docs, model)
+    return scored.select("doc_id", (crc_mod("doc_id", 4) == 2).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     probe = "</s>[INST] ok [/INST]"
@@ -36,9 +51,26 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_digest(chat_examples(turns.unionByName(extra)))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_simhash_components, op4_exact_topk, op6_exact_dedup, op8_chat_format)}
+def op9_cut_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cut_repeats(read_table(spark, sf_dir, "documents"), window=50).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cut_repeated_bytes(read_table(spark, sf_dir, "documents"), length=400).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_secrets, op3_simhash_components, op4_exact_topk, op6_exact_dedup, op7_line_quality, op8_chat_format, op9_cut_repeats, op10_suffix_dedup)}
 
 ORACLE = {
+    "op9_cut_repeats": """
+        WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x09-\\x0D\\x20]+'), lambda x: x <> '') AS ws FROM documents),
+             g AS (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 48, 1))) AS p FROM w),
+             h AS (SELECT doc_id, p, md5(array_to_string(ws[p:p + 49], ' ')) AS k FROM g),
+             f AS (SELECT k, min(doc_id) AS low FROM h GROUP BY k),
+             c AS (SELECT doc_id, list_distinct(flatten(list(range(p, p + 50)))) AS gone FROM h JOIN f USING (k) WHERE doc_id > low GROUP BY doc_id)
+        SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(len(gone), 0)::BIGINT AS n_removed,
+               sha256(array_to_string(CASE WHEN gone IS NULL THEN ws ELSE list_filter(ws, lambda x, i: NOT list_contains(gone, i)) END, ' ')) AS kept_sha256
+        FROM w LEFT JOIN c ON w.doc_id = c.doc_id""",
     "op4_exact_topk": """
         WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS e FROM embeddings
                    WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
