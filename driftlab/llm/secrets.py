@@ -151,7 +151,8 @@ def learn(examples: Iterable[bytes], alpha: float = 0.05, smoothing: float = 0.5
         for c, n in taken[s].items():
             weight[k, c] += n
             follow[k, c] = number[children[s][c]]
-    return Automaton(follow, np.log(weight / weight.sum(axis=1, keepdims=True)))
+    total = weight.sum(axis=1, keepdims=True)
+    return Automaton(follow, np.log(np.where(weight > 0, weight / np.where(total > 0, total, 1), 1e-300)))
 
 
 def _runs(mask: np.ndarray, offsets: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -272,7 +273,8 @@ def infer_formats(docs: DataFrame, text_col: str = "text", max_examples: int = 5
         held.setdefault(r.kind, {})[token] = xxhash.xxh64_intdigest(token, 5)
     _fewest(held, max_examples)
     got = [sorted(held.get(kind, {})) for kind in range(4)]
-    return [learn(t, alpha) if len(t) >= (min_examples if kind < 3 else 1) else None for kind, t in enumerate(got)]
+    # a kind accepts only what its examples can produce; the background gives everything some weight
+    return [learn(t, alpha, 0.0 if kind < 3 else 0.5) if len(t) >= (min_examples if kind < 3 else 1) else None for kind, t in enumerate(got)]
 
 
 def _scan(automata: list[Automaton | None], threshold: float):
