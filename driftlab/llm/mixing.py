@@ -21,11 +21,12 @@ from __future__ import annotations
 import heapq
 from collections.abc import Iterator, Sequence
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, n_words, ship
+from .common import chunks, cut, n_words, ship, text_buffer, word_spans
 
 
 def targets(sizes: Sequence[float], weights: Sequence[float], cap: float = 3.0) -> list[float]:
@@ -141,3 +142,37 @@ def mix(
     begin = F.col("stop") - F.col("size")
     more = F.greatest(F.lit(0), F.least(F.col("stop"), F.col("first")) - begin).cast("long")
     return out.select("doc_id", "source", "size", "source_size", "target", (F.col("full") * F.col("size") + more).cast("long").alias("taken"), more.alias("first"), "full")
+
+
+def _first_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The texts (first column), cut behind the word whose number the second column has."""
+    for b in batches:
+        flat, off = text_buffer(b.column(0))
+        want = b.column(1).to_numpy(zero_copy_only=False)
+        stop = off[1:].copy()
+        for i, j in chunks(off):
+            a = off[i]
+            _, end, doc = word_spans(flat[a : off[j]], off[i : j + 1] - a)
+            first = np.searchsorted(doc, np.arange(j - i + 1))
+            have = np.diff(first)
+            short = np.flatnonzero(want[i:j] < have)
+            stop[i + short] = np.where(want[i + short] > 0, a + end[first[:-1][short] + np.maximum(want[i + short], 1) - 1], off[:-1][i + short])
+        raw = flat.tobytes()
+        part = pa.array([raw[s:e].decode() for s, e in zip(off[:-1].tolist(), stop.tolist(), strict=True)], pa.string())
+        yield pa.RecordBatch.from_arrays([*b.columns[:2], part, *b.columns[2:]], names=["__text", "__first", "__part", *b.schema.names[2:]])
+
+
+def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
+    """docs as often as the mix takes them, columns as they came.
+
+    A document is repeated for every whole pass over it; the words that the mix takes once more
+    from its beginning are a further row of the same id with the shorter text. Rows without an id share one plan.
+    """
+    plan = mix(docs, id_col=id_col, text_col=text_col, source_col=source_col, **options).where("taken > 0")
+    plan = plan.groupBy("doc_id").agg(F.max("full").cast("int").alias("__full"), F.max("first").alias("__first")).withColumnRenamed("doc_id", "__id")
+    taken = docs.join(plan, F.col(id_col).cast("long").eqNullSafe(F.col("__id")))
+    shaped = taken.select(F.col(text_col).cast("string").alias("__text"), "__first", "__full", *(c for c in docs.columns if c != text_col))
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in shaped.schema.fields[2:])
+    cut_off = shaped.mapInArrow(_first_words, f"__text string, __first long, __part string, {kinds}")
+    copies = F.concat(F.array_repeat("__text", F.col("__full")), F.when(F.col("__first") > 0, F.array("__part")).otherwise(F.array().cast("array<string>")))
+    return cut_off.withColumn(text_col, F.explode(copies)).select(*docs.columns)

@@ -19,12 +19,13 @@ from __future__ import annotations
 
 import base64
 import pickle
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from .common import SpanHash, byte_hash, chunks, ship, text_buffer, word_spans
 
@@ -233,23 +234,28 @@ def fit_line_field(docs: DataFrame, labels: DataFrame, label_col: str = "quality
     return LineField().fit(with_neighbours(np.concatenate(each), doc), doc, label)
 
 
-def _score(model: LineField):
+def _score(model: LineField, text_at: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            flat, off = text_buffer(b.column(1))
+            flat, off = text_buffer(b.column(text_at))
             out = np.zeros(len(off) - 1)
             for i, j in chunks(off):
                 a = off[i]
                 out[i:j] = model.documents(flat[a : off[j]], off[i : j + 1] - a)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.clip(out, 0.0, 1.0))], names=["doc_id", "score"])
+            score = pa.array(np.clip(out, 0.0, 1.0))
+            kept = list(range(b.num_columns - 1))  # the last column is the text that was scored
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in kept), score], names=[*(b.schema.names[k] for k in kept), "score"])
 
     return run
 
 
-def score_documents(docs: DataFrame, model: LineField, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, score of every document."""
+def score_documents(docs: DataFrame, model: LineField, id_col: str = "doc_id", text_col: str = "text", with_rows: Sequence[str] | None = None) -> DataFrame:
+    """doc_id, score of every document; or the columns with_rows as they came, and score, in the same pass."""
     ship(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_score(model), "doc_id long, score double")
+    carried = docs.select(*with_rows) if with_rows else docs.select(F.col(id_col).cast("long").alias("doc_id"))
+    shape = StructType([*carried.schema.fields, StructField("score", DoubleType())])
+    source = docs.select(*([F.col(c) for c in with_rows] if with_rows else [F.col(id_col).cast("long").alias("doc_id")]), F.col(text_col).cast("string").alias("__text"))
+    return source.mapInArrow(_score(model, len(shape.fields) - 1), shape)
 
 
 def to_text(model: LineField) -> str:

@@ -9,6 +9,7 @@ from .chat import chat_digest, chat_examples
 from .common import read_table
 from .exact_dedup import exact_groups
 from .mixing import mix
+from .pieces import sample_segmentations
 from .quality import crc_mod, fit_line_field, score_documents
 from .recompression import cut_repeats
 from .secrets import find_secrets
@@ -33,6 +34,13 @@ def op4_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(read_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0, k=5)
 
 
+def op5_sample_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two distinct segmentations of every text, as digests of their piece ids."""
+    found = sample_segmentations(read_table(spark, sf_dir, "documents"), k=2)
+    digest = F.transform("samples", lambda s: F.sha2(F.array_join(s.cast("array<string>"), ","), 256))
+    return found.select("doc_id", F.size("samples").alias("n_samples"), F.transform("samples", F.size).alias("n_pieces"), digest.alias("ids_sha256"), "log_p", "perturbed", "inclusion")
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(read_table(spark, sf_dir, "documents"), keep="max")
 
@@ -59,7 +67,7 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut_repeated_bytes(read_table(spark, sf_dir, "documents"), length=400).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_secrets, op3_simhash_components, op4_exact_topk, op6_exact_dedup, op7_line_quality, op8_chat_format, op9_cut_repeats, op10_suffix_dedup)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_secrets, op3_simhash_components, op4_exact_topk, op5_sample_pieces, op6_exact_dedup, op7_line_quality, op8_chat_format, op9_cut_repeats, op10_suffix_dedup)}
 
 ORACLE = {
     "op9_cut_repeats": """

@@ -29,10 +29,10 @@ from functools import cache
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, drop_cut, min_components, ship, signed, text_buffer
+from .common import cut, min_components, mix64, ship, signed, text_buffer
 
 #: (lowest bit, width) of the three segments.
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
@@ -78,19 +78,8 @@ def golay_keys(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def simhash_of(text: bytes, shingle: int = 3) -> int:
     """Fingerprint of a text: per bit, whether over half the shingle hashes (XXH64, seed 42) have it."""
-    words = text.lower().split()
-    if not words:
-        return 0
-    n = len(words) - shingle + 1
-    digest = xxhash.xxh64_intdigest
-    if n <= 1:
-        return digest(b" ".join(words), 42)
-    joined = b" ".join(words)
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
-    stops = ends[shingle - 1 :].tolist()
-    starts = [0, *(ends[: n - 1] + 1).tolist()]
-    hashes = np.fromiter((digest(joined[a:b], 42) for a, b in zip(starts, stops, strict=True)), np.uint64, n)
-    return _majority(hashes)
+    hashes = shingle_hashes(text, shingle)
+    return _majority(hashes) if len(hashes) else 0
 
 
 def _majority(hashes: np.ndarray) -> int:
@@ -164,7 +153,120 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(of_fp, "fp", "left").select("doc_id", hexed.alias("fingerprint"), "component_id")
 
 
-def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5) -> DataFrame:
-    """docs with one document of each component: the one of smallest id; columns as they came."""
-    groups = near_components(docs, id_col, text_col, shingle).where(F.col("doc_id").eqNullSafe(F.col("component_id")) | F.col("doc_id").isNull()).select(F.col("doc_id").alias("__keep")).distinct()
-    return docs.join(groups, docs[id_col].eqNullSafe(groups["__keep"]), "left_semi").dropDuplicates([id_col])
+def shingle_hashes(text: bytes, shingle: int) -> np.ndarray:
+    """XXH64 (seed 42) of the lower-cased text's word shingles; of the whole sequence if it is shorter; none for no words."""
+    words = text.lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    n = max(1, len(words) - shingle + 1)
+    joined = b" ".join(words)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
+    stops = ends[min(shingle, len(words)) - 1 :].tolist()
+    starts = [0, *(ends[: n - 1] + 1).tolist()]
+    return np.fromiter((xxhash.xxh64_intdigest(joined[i:j], 42) for i, j in zip(starts, stops, strict=True)), np.uint64, n)
+
+
+def part_prints(hashes: np.ndarray, similarity: float, parts: int = 16, per_part: int = 4) -> list[int]:
+    """SimHash fingerprints of parts of a shingle set.
+
+    A part is the shingles whose hash falls in a range that holds `per_part` of them on average, so
+    two sets of Jaccard similarity s have the same part with probability about exp(-1.1 (1 - s) per_part),
+    for each of `parts` parts: at 0.8 a pair without any equal part is one in several thousand. Ranges follow the set's
+    size by powers of two; sets that may have partners of the next smaller power use its ranges too.
+    Small sets cover all hashes in several different orders.
+    """
+    kinds = np.unique(hashes)
+    n = len(kinds)
+    if not n:
+        return [int(mix64(np.array([7], np.uint64))[0])]
+    top = n.bit_length() - 1
+    out: list[int] = []
+    for e in {top, top - 1} if similarity * n < (1 << top) and top else {top}:
+        cells = max(1, round(1.5 * (1 << e) / per_part))
+        for order in range(-(-parts // cells)):
+            mixed = mix64(kinds + np.uint64(order * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
+            cell = (mixed >> np.uint64(32)).astype(np.int64) * cells >> 32
+            some = np.flatnonzero(cell < parts)
+            some = some[np.argsort(cell[some], kind="stable")]
+            if not len(some):
+                continue
+            cell = cell[some]
+            first = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
+            count = np.diff(np.append(first, len(cell)))
+            bits = np.add.reduceat(np.unpackbits(kinds[some].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int32), first, axis=0)
+            prints = np.packbits(2 * bits > count[:, None], axis=1, bitorder="little").view(np.uint64).ravel()
+            with np.errstate(over="ignore"):
+                tags = mix64(prints + cell[first].astype(np.uint64) * np.uint64(0x9FB21C651E98DF25) + np.uint64(e * 1000 + order))
+            out += tags.tolist()
+    return out
+
+
+def _parts(shingle: int, similarity: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ids = b.column(0).to_pylist()
+            flat, off = text_buffer(b.column(1))
+            raw = flat.tobytes()
+            prints, lists = [], []
+            for d in range(len(ids)):
+                h = shingle_hashes(raw[off[d] : off[d + 1]], shingle)
+                prints.append(_majority(h) if len(h) else 0)
+                lists.append(signed(np.array(part_prints(h, similarity), np.uint64)))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(signed(np.array(prints, np.uint64))), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "fp", "parts"])
+
+    return run
+
+
+def _sets(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            flat, off = text_buffer(b.column(1))
+            raw = flat.tobytes()
+            sets = [signed(np.unique(shingle_hashes(raw[off[d] : off[d + 1]], shingle))) for d in range(b.num_rows)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["doc_id", "shingles"])
+
+    return run
+
+
+def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", small_group: int = 16) -> DataFrame:
+    """doc_id, component_id: documents whose sets of word shingles have Jaccard similarity of `similarity` or more are linked.
+
+    Candidates are documents whose SimHash fingerprints differ in at most 2 bits (Golay keys) or
+    that share a part fingerprint; every candidate is verified on the whole shingle sets. A group of up to
+    small_group documents with one part is paired off; in a larger one each document meets the smallest and
+    its neighbours by fingerprint and by id, and since a pair meets in several of its parts and through
+    common partners, groups of copies still join.
+    """
+    ship(docs.sparkSession)
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id IS NOT NULL")
+    prints = cut(texts.mapInArrow(_parts(shingle, similarity), "doc_id long, fp long, parts array<long>"))
+    rows = prints.select("doc_id", "fp", F.explode(F.array_distinct("parts")).alias("part"))
+    sizes = rows.groupBy("part").agg(F.count("*").alias("n"), F.min("doc_id").alias("low")).where("n > 1")
+    shared = cut(rows.join(sizes, "part"))
+    few = shared.where(F.col("n") <= small_group).groupBy("part").agg(F.collect_list("doc_id").alias("m"))
+    pairs = few.select(F.explode(F.expr("flatten(transform(m, x -> transform(filter(m, y -> y > x), y -> struct(x AS a, y AS b))))")).alias("e")).select("e.a", "e.b")
+    many = shared.where(F.col("n") > small_group)
+    by_fp, by_id = Window.partitionBy("part").orderBy("fp", "doc_id"), Window.partitionBy("part").orderBy("doc_id")
+    beside = many.select(F.col("low").alias("a"), F.col("doc_id").alias("b"), F.lag("doc_id").over(by_fp).alias("c"), F.lag("doc_id").over(by_id).alias("d"))
+    beside = beside.select("b", F.explode(F.array("a", "c", "d")).alias("a")).where("a IS NOT NULL").select("a", "b")
+    nodes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("node")))
+    same = prints.join(nodes, "fp").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
+    asked = pairs.union(beside).union(same).union(near_links(nodes)).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    asked = cut(asked)
+    involved = asked.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    sets = cut(texts.join(involved, "doc_id", "left_semi").mapInArrow(_sets(shingle), "doc_id long, shingles array<long>"))
+    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"))
+    both = asked.join(left, "a").join(right, "b")
+    common = F.size(F.array_intersect("x", "y"))
+    alike = common >= F.lit(similarity) * (F.size("x") + F.size("y") - common)
+    links = both.where(alike).select("a", "b")
+    comp = min_components(links)
+    return prints.select("doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("component", "doc_id").alias("component_id"))
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """docs with one document of each component of similar_components: the one of smallest id; columns as they came. Rows without an id stay."""
+    found = similar_components(docs, shingle, similarity, id_col, text_col)
+    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
+    return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
