@@ -41,7 +41,7 @@ _BLANK = 0x20
 _ONE = 1 << 30
 _UNIT = float(1 << 32)
 #: Lattice nodes that a worker keeps between chunks.
-CACHE_NODES = 600_000
+CACHE_NODES = 2_000_000
 
 
 def load_vocabulary(path: str = MODEL, shift: float = 10.0) -> dict:
@@ -87,27 +87,37 @@ class Lattices:
         order = np.argsort(keys)
         self.keys, self.next = keys[order], np.fromiter(step.values(), np.int64, len(step))[order]
         self.ends = np.array(ends)
+        # states behind one and two bytes, looked up without a search
+        self.one = np.array([step.get(b, -1) for b in range(256)])
+        self.two = np.full(1 << 16, -1)
+        for b in np.flatnonzero(self.one >= 0).tolist():
+            for c in range(256):
+                self.two[b << 8 | c] = step.get(int(self.one[b]) << 8 | c, -1)
         self.weight = np.array(vocabulary["weights"])
         self.ids = np.array(vocabulary["ids"], np.int64)
+        self.piece_size = np.array([len(p) for p in vocabulary["pieces"]])
         self.clear()
 
     def clear(self) -> None:
         self.known = np.zeros(0, _U)
         self.base = np.zeros(0, np.int64)
-        self.nodes = 0
-        self.final = np.zeros(0, bool)
-        self.src = np.zeros(0, np.int64)
-        self.dst = np.zeros(0, np.int64)
-        self.piece = np.zeros(0, np.int64)
-        self.size = np.zeros(0, np.int64)
+        self.hits = np.zeros(0, np.int64)
+        self.first = np.zeros(1, np.int32)  # first arc of each node, and the number of arcs
+        self.last = np.zeros(0, bool)  # nodes that end a token
+        self.dst = np.zeros(0, np.int32)
+        self.piece = np.zeros(0, np.int32)
         self.p = np.zeros(0)
-        self.mark = np.zeros(0, np.int64)
+        self.mark = np.zeros(0, np.int32)
+
+    @property
+    def nodes(self) -> int:
+        return len(self.first) - 1
 
     def starts(self, flat: np.ndarray, begin: np.ndarray, end: np.ndarray, name: np.ndarray) -> np.ndarray:
         """Start node of each token."""
         fresh, first, back = np.unique(name, return_index=True, return_inverse=True)
         if self.nodes > CACHE_NODES:
-            self.clear()
+            self._shrink()
         at = np.searchsorted(self.known, fresh)
         new = np.ones(len(fresh), bool)
         inside = at < len(self.known)
@@ -115,8 +125,31 @@ class Lattices:
         if new.any():
             self._add(flat, begin[first[new]], end[first[new]], fresh[new])
             at = np.searchsorted(self.known, fresh)
+        self.hits[at] += 1
         return self.base[at][back]
 
+    def _shrink(self) -> None:
+        """Keeps the lattices of tokens that more than one chunk had; none, if those are too many themselves."""
+        order = np.argsort(self.base)
+        length = np.diff(np.append(self.base[order], self.nodes))
+        stay = self.hits[order] > 1
+        if length[stay].sum() > CACHE_NODES // 2:
+            self.clear()
+            return
+        kept, size = order[stay], length[stay]
+        begin = self.base[kept]
+        start = np.cumsum(size) - size
+        node = np.repeat(begin - start, size) + np.arange(int(size.sum()))
+        arcs = np.diff(self.first)[node].astype(np.int64)
+        first = np.concatenate([[0], np.cumsum(arcs)])
+        arc = np.repeat(self.first[node] - first[:-1], arcs) + np.arange(int(first[-1]))
+        moved = np.repeat(np.repeat(begin - start, size), arcs)
+        self.dst = (self.dst[arc] - moved).astype(np.int32)
+        self.piece, self.p, self.mark, self.first = self.piece[arc], self.p[arc], self.mark[arc], first.astype(np.int32)
+        self.last = self.last[node]
+        again = np.argsort(self.known[kept], kind="stable")
+        self.known, self.base, self.hits = self.known[kept][again], start[again], self.hits[kept][again] // 2
+
     def _add(self, flat: np.ndarray, begin: np.ndarray, end: np.ndarray, name: np.ndarray) -> None:
         length = end - begin
         offset = np.concatenate([[0], np.cumsum(length)])
@@ -125,79 +158,113 @@ class Lattices:
         owner = np.repeat(np.arange(len(length)), length)
         stop = offset[1:][owner]
         heads = np.flatnonzero((text & 0xC0) != 0x80)
-        src, dst, piece = [], [], []
-        at, state = heads, np.zeros(len(heads), np.int64)
-        depth = 0
+        sizes = char_sizes(heads, np.minimum(np.append(heads[1:], len(text)), stop[heads]) if len(heads) else heads, len(text))
+        found = []
+        alone = np.zeros(len(text) + 1, bool)
+        at, state, depth = heads, np.zeros(len(heads), np.int64), 0
         while len(at):
             live = at + depth < stop[at]
             at, state = at[live], state[live]
-            key = state << 8 | text[at + depth]
-            hit = np.searchsorted(self.keys, key)
-            hit[hit == len(self.keys)] = 0
-            good = self.keys[hit] == key
-            at, state = at[good], self.next[hit[good]]
+            if depth == 0:
+                nxt = self.one[text[at]]
+            elif depth == 1:
+                nxt = self.two[text[at] << 8 | text[at + 1]]
+            else:
+                key = state << 8 | text[at + depth]
+                hit = np.searchsorted(self.keys, key)
+                hit[hit == len(self.keys)] = 0
+                nxt = np.where(self.keys[hit] == key, self.next[hit], -1)
+            good = nxt >= 0
+            at, state = at[good], nxt[good]
             depth += 1
             ended = self.ends[state]
             done = ended >= 0
-            src.append(at[done])
-            dst.append(at[done] + depth)
-            piece.append(ended[done])
-        src, dst, piece = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (src, dst, piece))
-        weight = self.weight[piece]
+            found.append((at[done], depth, ended[done]))
+            alone[at[done][sizes[at[done]] == depth]] = True
         # characters without a piece of their own: one arc over their bytes
-        after = np.minimum(np.append(heads[1:], len(text)), stop[heads]) if len(heads) else heads
-        size_of = char_sizes(heads, after, len(text))
-        alone = np.zeros(len(text) + 1, bool)
-        alone[src[dst - src == size_of[src]]] = True
         bare = heads[~alone[heads]]
-        src = np.concatenate([src, bare])
-        dst = np.concatenate([dst, bare + size_of[bare]])
-        piece = np.concatenate([piece, np.full(len(bare), -1)])
-        weight = np.concatenate([weight, self.v["byte_weight"] * size_of[bare]])
-        # node numbers: a token of n bytes has n + 1 nodes
-        order = np.lexsort((dst, src))
-        src, dst, piece, weight = src[order], dst[order], piece[order], weight[order]
-        shift = owner[src] if len(src) else src
-        from_end = stop[src] - src
-        s, d = src + shift, dst + shift
+        # node numbers: a token of n bytes has n + 1 nodes, the last without arcs
         n = int(offset[-1]) + len(length)
+        number = np.arange(len(text)) + owner
+        arcs = np.zeros(n + 1, np.int64)
+        for src, _, _ in found:
+            arcs[number[src] + 1] += 1
+        arcs[number[bare] + 1] += 1
+        first = np.cumsum(arcs)
+        slot = first[:-1].copy()
+        total = int(first[-1])
+        dst, piece, weight = np.zeros(total, np.int64), np.full(total, -1, np.int64), np.zeros(total)
+        for src, depth, ended in found:
+            s = number[src]
+            k = slot[s]
+            slot[s] += 1
+            dst[k], piece[k], weight[k] = s + depth, ended, self.weight[ended]
+        s = number[bare]
+        dst[slot[s]], piece[slot[s]], weight[slot[s]] = s + sizes[bare], -sizes[bare], self.v["byte_weight"] * sizes[bare]
+        # log sums over the ways to the end, from the end of each token
         ahead = np.full(n, -np.inf)
-        ahead[offset[1:] + np.arange(len(length))] = 0.0
-        by_end = np.argsort(from_end, kind="stable")
-        far = from_end[by_end]
-        cuts = np.flatnonzero(np.append(True, far[1:] != far[:-1])) if len(far) else np.zeros(0, np.int64)
-        for lo, hi in zip(cuts, np.append(cuts[1:], len(far)), strict=True):
-            e = by_end[lo:hi]
-            first = np.flatnonzero(np.append(True, s[e][1:] != s[e][:-1]))
-            ahead[s[e][first]] = np.logaddexp.reduceat(weight[e] + ahead[d[e]], first)
-        p = np.exp(weight + ahead[d] - ahead[s]) if len(s) else np.zeros(0)
-        lead = np.flatnonzero(np.append(True, s[1:] != s[:-1])) if len(s) else np.zeros(0, np.int64)
-        # cumulative probabilities of a node's arcs in 30 bits; whole numbers, so they do not depend on the node's number
-        rank = np.arange(len(s)) - np.repeat(lead, np.diff(np.append(lead, len(s))))
-        upto = p.copy()
-        for r in range(1, int(rank.max(initial=0)) + 1):
-            at = np.flatnonzero(rank == r)
-            upto[at] += upto[at - 1]
+        last = offset[1:] + np.arange(len(length))
+        ahead[last] = 0.0
+        longest = np.argsort(-length, kind="stable")
+        count = arcs[1:]
+        for back in range(1, int(length.max(initial=0)) + 1):
+            node = last[longest[: int(np.searchsorted(-length[longest], -back, side="right"))]] - back
+            node = node[count[node] > 0]
+            value, r = np.full(len(node), -np.inf), 0
+            some = np.arange(len(node))
+            while len(some):
+                k = first[node[some]] + r
+                value[some] = np.logaddexp(value[some], weight[k] + ahead[dst[k]])
+                r += 1
+                some = some[count[node[some]] > r]
+            ahead[node] = value
+        source = np.repeat(np.arange(n), count)
+        p = np.exp(weight + ahead[dst] - ahead[source])
+        # cumulative probabilities of a node's arcs in 30 bits: whole numbers, the same in every chunk
+        upto, node, r = p.copy(), np.flatnonzero(count > 1), 1
+        while len(node):
+            k = first[node] + r
+            upto[k] += upto[k - 1]
+            r += 1
+            node = node[count[node] > r]
         mark = np.minimum(np.rint(upto * _ONE), _ONE).astype(np.int64)
-        if len(s):
-            mark[np.append(lead[1:], len(s)) - 1] = _ONE
-        final = np.zeros(n, bool)
-        final[offset[1:] + np.arange(len(length))] = True
-        self.mark = np.concatenate([self.mark, (s + self.nodes) * _ONE + mark])
-        self.src = np.concatenate([self.src, s + self.nodes])
-        self.dst = np.concatenate([self.dst, d + self.nodes])
-        self.piece = np.concatenate([self.piece, piece])
-        self.size = np.concatenate([self.size, dst - src])
-        self.p = np.concatenate([self.p, p])
-        self.final = np.concatenate([self.final, final])
+        mark[first[1:][count > 0] - 1] = _ONE
         base = offset[:-1] + np.arange(len(length)) + self.nodes
-        self.nodes += n
+        self.dst = np.concatenate([self.dst, (dst + self.nodes).astype(np.int32)])
+        self.piece = np.concatenate([self.piece, piece.astype(np.int32)])
+        self.p = np.concatenate([self.p, p])
+        self.mark = np.concatenate([self.mark, mark.astype(np.int32)])
+        self.first = np.concatenate([self.first, (first[1:] + int(self.first[-1])).astype(np.int32)])
+        self.last = np.concatenate([self.last, _marked(n, last)])
         known, bases = np.concatenate([self.known, name]), np.concatenate([self.base, base])
         order = np.argsort(known, kind="stable")
         self.known, self.base = known[order], bases[order]
+        self.hits = np.concatenate([self.hits, np.zeros(len(name), np.int64)])[order]
 
     def arcs(self, node: int) -> range:
-        return range(int(np.searchsorted(self.src, node)), int(np.searchsorted(self.src, node, side="right")))
+        return range(int(self.first[node]), int(self.first[node + 1]))
+
+    def ends_at(self, node: np.ndarray) -> np.ndarray:
+        """Whether a node is its token's end."""
+        return self.last[node]
+
+    def source(self, arc: int) -> int:
+        return int(np.searchsorted(self.first, np.int32(arc), side="right")) - 1
+
+    def pick(self, node: np.ndarray, u: np.ndarray) -> np.ndarray:
+        """The arc of each node that a number in [0, 1) chooses."""
+        arc, at = self.first[node].astype(np.int64), (u * _ONE).astype(np.int32)
+        open_ = np.flatnonzero(at >= self.mark[arc])
+        while len(open_):
+            arc[open_] += 1
+            open_ = open_[at[open_] >= self.mark[arc[open_]]]
+        return arc
+
+
+def _marked(n: int, at: np.ndarray) -> np.ndarray:
+    out = np.zeros(n, bool)
+    out[at] = True
+    return out
 
 
 def char_sizes(heads: np.ndarray, after: np.ndarray, n: int) -> np.ndarray:
@@ -254,21 +321,26 @@ class Search:
         inner = token - self.first[self.doc[token]]
         who, took = [], []
         at, k = np.arange(len(token)), 0
-        live = ~g.final[node] if len(node) else np.zeros(0, bool)
+        live = ~g.ends_at(node)
         at, node = at[live], node[live]
         while len(at):
-            arc = np.searchsorted(g.mark, node * _ONE + (uniform(key[at], inner[at], turn, k) * _ONE).astype(np.int64), side="right")
+            arc = g.pick(node, uniform(key[at], inner[at], turn, k))
             who.append(at)
             took.append(arc)
-            node = g.dst[arc]
-            live = ~g.final[node]
+            node = g.dst[arc].astype(np.int64)
+            live = ~g.ends_at(node)
             at, node = at[live], node[live]
             k += 1
         if not who:
             return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        who, took = np.concatenate(who), np.concatenate(took)
-        order = np.argsort(who, kind="stable")
-        return token[who[order]], took[order]
+        steps = np.zeros(len(token), np.int64)
+        for w in who:
+            steps[w] += 1
+        first = np.cumsum(steps) - steps
+        out = np.empty(int(steps.sum()), np.int64)
+        for k, (w, arc) in enumerate(zip(who, took, strict=True)):
+            out[first[w] + k] = arc
+        return np.repeat(token, steps), out
 
     def run(self, k: int) -> tuple[list[list[dict]], np.ndarray]:
         """Per text up to k samples {paths, logp, value}; and each text's kappa."""
@@ -296,7 +368,7 @@ class Search:
             for d in open_.tolist():
                 t = paths[pick[d]]
                 j = t["at"][d]
-                node = int(g.src[t["arc"][j]])
+                node = g.source(int(t["arc"][j]))
                 out_arcs = t["barred"].setdefault(j, [int(t["arc"][j])])
                 left = [e for e in g.arcs(node) if e not in out_arcs]
                 weights = g.p[left]
@@ -368,18 +440,25 @@ class Search:
         """Per text: (piece ids, log probability, perturbed value, inclusion score) of each sample; checked by decoding."""
         self.samples, kappa = self.run(k)
         byte_ids = np.array(self.g.v["byte_ids"])
+        self.piece_size = self.g.piece_size
         out = []
         for d in range(self.n):
             rows = []
             text = self.flat[self.offsets[d] : self.offsets[d + 1]]
             for s in self.samples[d]:
                 arcs = self.arcs_of(d, s)
-                piece, size = self.g.piece[arcs], self.g.size[arcs]
+                piece = self.g.piece[arcs]
                 ids = self.g.ids[piece]
                 bare = piece < 0
                 if bare.any():
-                    at = np.concatenate([[0], np.cumsum(size)])
-                    ids = np.concatenate([byte_ids[text[at[i] : at[i + 1]]] if bare[i] else ids[i : i + 1] for i in range(len(arcs))])
+                    # the bytes of characters without a piece; the pieces' sizes tell where they are
+                    size = np.where(bare, -piece, self.piece_size[piece])
+                    n = np.where(bare, size, 1)
+                    begin = np.cumsum(size) - size
+                    inner = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+                    raw = np.repeat(bare, n)
+                    ids = np.repeat(ids, n)
+                    ids[raw] = byte_ids[text[(np.repeat(begin, n) + inner)[raw]]]
                 logp = float(self.paths[s["path"]]["end"][d])
                 score = 1.0 if np.isneginf(kappa[d]) else float(-np.expm1(-np.exp(min(logp - kappa[d], 700.0))))
                 rows.append((ids, logp, s["value"], score))
@@ -424,7 +503,7 @@ def _encode(broadcast, k: int, seed: int):
         for b in batches:
             flat, off = text_buffer(b.column(1))
             ids = b.column(0)
-            for i, j in chunks(off, 1 << 20):
+            for i, j in chunks(off):
                 a = off[i]
                 part, inner = flat[a : off[j]], off[i : j + 1] - a
                 own = ids.slice(i, j - i)

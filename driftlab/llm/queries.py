@@ -37,8 +37,8 @@ def op4_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op5_sample_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two distinct segmentations of every text, as digests of their piece ids."""
     found = sample_segmentations(read_table(spark, sf_dir, "documents"), k=2)
-    digest = F.transform("samples", lambda s: F.sha2(F.array_join(s.cast("array<string>"), ","), 256))
-    return found.select("doc_id", F.size("samples").alias("n_samples"), F.transform("samples", F.size).alias("n_pieces"), digest.alias("ids_sha256"), "log_p", "perturbed", "inclusion")
+    digest = F.transform("samples", lambda s: F.xxhash64(s))
+    return found.select("doc_id", F.size("samples").alias("n_samples"), F.transform("samples", F.size).alias("n_pieces"), digest.alias("ids_xxh64"), "log_p", "perturbed", "inclusion")
 
 
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
