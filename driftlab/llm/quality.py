@@ -234,28 +234,28 @@ def fit_line_field(docs: DataFrame, labels: DataFrame, label_col: str = "quality
     return LineField().fit(with_neighbours(np.concatenate(each), doc), doc, label)
 
 
-def _score(model: LineField, text_at: int):
+def _score(model: LineField, text_at: int, keep: int):
+    """Scores the column at text_at; the first `keep` columns go on."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             flat, off = text_buffer(b.column(text_at))
-            out = np.zeros(len(off) - 1)
             for i, j in chunks(off):
                 a = off[i]
-                out[i:j] = model.documents(flat[a : off[j]], off[i : j + 1] - a)
-            score = pa.array(np.clip(out, 0.0, 1.0))
-            kept = list(range(b.num_columns - 1))  # the last column is the text that was scored
-            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in kept), score], names=[*(b.schema.names[k] for k in kept), "score"])
+                score = pa.array(np.clip(model.documents(flat[a : off[j]], off[i : j + 1] - a), 0.0, 1.0))
+                part = b.slice(i, j - i)
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in range(keep)), score], names=[*b.schema.names[:keep], "score"])
 
     return run
 
 
 def score_documents(docs: DataFrame, model: LineField, id_col: str = "doc_id", text_col: str = "text", with_rows: Sequence[str] | None = None) -> DataFrame:
-    """doc_id, score of every document; or the columns with_rows as they came, and score, in the same pass."""
+    """doc_id, score of every document; or the columns with_rows, the text among them, as they came, and score, in the same pass."""
     ship(docs.sparkSession)
-    carried = docs.select(*with_rows) if with_rows else docs.select(F.col(id_col).cast("long").alias("doc_id"))
-    shape = StructType([*carried.schema.fields, StructField("score", DoubleType())])
-    source = docs.select(*([F.col(c) for c in with_rows] if with_rows else [F.col(id_col).cast("long").alias("doc_id")]), F.col(text_col).cast("string").alias("__text"))
-    return source.mapInArrow(_score(model, len(shape.fields) - 1), shape)
+    rows = docs.select(*with_rows) if with_rows else docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    keep = rows.schema.fields if with_rows else rows.schema.fields[:1]
+    text_at = list(with_rows).index(text_col) if with_rows else 1
+    return rows.mapInArrow(_score(model, text_at, len(keep)), StructType([*keep, StructField("score", DoubleType())]))
 
 
 def to_text(model: LineField) -> str:
