@@ -7,6 +7,7 @@ depends on the chunk size and its longest single document, not on the table.
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -19,13 +20,27 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text worked on at once inside a task.
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 1 << 20
 
 _U = np.uint64
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
 
+def _lean() -> None:
+    """Large buffers are mapped, and go back to the system when they are freed: Python workers live long beside an executor's heap."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        libc = ctypes.CDLL("libc.so.6")
+        libc.mallopt(-3, 4 << 20)  # M_MMAP_THRESHOLD, which else grows with use
+        libc.mallopt(-1, 16 << 20)  # M_TRIM_THRESHOLD
+    except (OSError, AttributeError):
+        pass  # not glibc
+
+
+_lean()
+
+
 def ship(spark: SparkSession) -> None:
     """Give this package to the Python workers of every executor, once per Spark context."""
     sc = spark.sparkContext

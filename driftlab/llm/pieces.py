@@ -40,8 +40,10 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 _BLANK = 0x20
 _ONE = 1 << 30
 _UNIT = float(1 << 32)
+#: Bytes of text searched at once.
+CHUNK = 768 << 10
 #: Lattice nodes that a worker keeps between chunks.
-CACHE_NODES = 2_000_000
+CACHE_NODES = 1_000_000
 
 
 def load_vocabulary(path: str = MODEL, shift: float = 10.0) -> dict:
@@ -99,6 +101,7 @@ class Lattices:
         self.clear()
 
     def clear(self) -> None:
+        self.room: dict[str, np.ndarray] = {}
         self.known = np.zeros(0, _U)
         self.base = np.zeros(0, np.int64)
         self.hits = np.zeros(0, np.int64)
@@ -146,7 +149,7 @@ class Lattices:
         moved = np.repeat(np.repeat(begin - start, size), arcs)
         self.dst = (self.dst[arc] - moved).astype(np.int32)
         self.piece, self.p, self.mark, self.first = self.piece[arc], self.p[arc], self.mark[arc], first.astype(np.int32)
-        self.last = self.last[node]
+        self.last, self.room = self.last[node], {}
         again = np.argsort(self.known[kept], kind="stable")
         self.known, self.base, self.hits = self.known[kept][again], start[again], self.hits[kept][again] // 2
 
@@ -230,17 +233,29 @@ class Lattices:
         mark = np.minimum(np.rint(upto * _ONE), _ONE).astype(np.int64)
         mark[first[1:][count > 0] - 1] = _ONE
         base = offset[:-1] + np.arange(len(length)) + self.nodes
-        self.dst = np.concatenate([self.dst, (dst + self.nodes).astype(np.int32)])
-        self.piece = np.concatenate([self.piece, piece.astype(np.int32)])
-        self.p = np.concatenate([self.p, p])
-        self.mark = np.concatenate([self.mark, mark.astype(np.int32)])
-        self.first = np.concatenate([self.first, (first[1:] + int(self.first[-1])).astype(np.int32)])
-        self.last = np.concatenate([self.last, _marked(n, last)])
+        begun, node_0 = int(self.first[-1]), self.nodes
+        self._append("dst", dst + node_0)
+        self._append("piece", piece)
+        self._append("p", p)
+        self._append("mark", mark)
+        self._append("first", first[1:] + begun)
+        self._append("last", _marked(n, last))
         known, bases = np.concatenate([self.known, name]), np.concatenate([self.base, base])
         order = np.argsort(known, kind="stable")
         self.known, self.base = known[order], bases[order]
         self.hits = np.concatenate([self.hits, np.zeros(len(name), np.int64)])[order]
 
+    def _append(self, name: str, values: np.ndarray) -> None:
+        """Adds to one of the arrays, in a buffer that grows by halves."""
+        have = getattr(self, name)
+        n, need = len(have), len(have) + len(values)
+        room = self.room.get(name)
+        if room is None or len(room) < need:
+            room = self.room[name] = np.empty(max(need + need // 2, 1 << 16), have.dtype)
+            room[:n] = have
+        room[n:need] = values
+        setattr(self, name, room[:need])
+
     def arcs(self, node: int) -> range:
         return range(int(self.first[node]), int(self.first[node + 1]))
 
@@ -503,7 +518,7 @@ def _encode(broadcast, k: int, seed: int):
         for b in batches:
             flat, off = text_buffer(b.column(1))
             ids = b.column(0)
-            for i, j in chunks(off):
+            for i, j in chunks(off, CHUNK):
                 a = off[i]
                 part, inner = flat[a : off[j]], off[i : j + 1] - a
                 own = ids.slice(i, j - i)

@@ -41,7 +41,7 @@ from .recompression import NO_ID, stand_in
 _U = np.uint64
 GRAM = 16
 #: Bytes of suffix text that a task sorts into one run.
-RUN_BYTES = 24 << 20
+RUN_BYTES = 12 << 20
 
 
 def common_prefix(a: bytes, b: bytes, known: int = 0) -> int:
