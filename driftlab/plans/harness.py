@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 
 from ..functions.chisq import chi2_sf, table_stat
 from ..operators import baselines
-from ..operators.fitting import FitOptions, fit_array
+from ..operators.detect import contingency_wide, detect
+from ..operators.fitting import FitOptions, fit_array, take_sample
 from ..operators.measures import TRIAL
 from ..session import ship
 from ..sources import gen
@@ -101,7 +102,7 @@ def sampled_sets(same: DataFrame, other: DataFrame, workload: str, features: Seq
     """Sets drawn from tables: training and stationary test rows from `same`, drifted ones from `other`.
 
     groups: shares of each group in the two populations; without, plain draws. Training rows are drawn without
-    replacement by hash; test rows with replacement from the rows that training left. Whole runs are drawn in one task each.
+    replacement; each test set without replacement from the rows that training left (with, where these are too few). Whole runs are drawn in one task each.
     """
     spark = same.sparkSession
     cols = list(features) + ([group] if group else [])
@@ -118,13 +119,13 @@ def sampled_sets(same: DataFrame, other: DataFrame, workload: str, features: Seq
 
         def parts(pool: pd.DataFrame, n: int, shares: dict | None, replace: bool) -> pd.DataFrame:
             if shares is None:
-                return pool.iloc[rng.choice(len(pool), min(n, len(pool)) if not replace else n, replace=replace)]
+                return pool.iloc[rng.choice(len(pool), min(n, len(pool)) if not replace else n, replace=replace and len(pool) < n)]
             took = []
             for g, share in shares.items():
                 rows = pool[pool[group] == g]
                 want = int(round(share * n))
                 if want and len(rows):
-                    took.append(rows.iloc[rng.choice(len(rows), want if replace else min(want, len(rows)), replace=replace)])
+                    took.append(rows.iloc[rng.choice(len(rows), want if replace else min(want, len(rows)), replace=replace and len(rows) < want)])
             return pd.concat(took)
 
         train = parts(pools[0], n_train, groups and groups[0], False)
@@ -142,3 +143,31 @@ def sampled_sets(same: DataFrame, other: DataFrame, workload: str, features: Seq
 
     kinds = ", ".join(f"{c} double" for c in features)
     return spread.groupBy("run").applyInPandas(draw, f"workload string, run int, test_no int, drifted boolean, row long, {kinds}")
+
+
+def compare(methods: Sequence[str], train: DataFrame, tests: DataFrame, features: Sequence[str], by: str, alpha: float = 0.05, beta: int = 50, sample_cap: int = 20_000, seed: int = 0) -> DataFrame:
+    """(method, by, stat, p_value, reject): every batch of `tests` judged by every method fitted on one bounded sample of `train`.
+
+    Histogram methods count whole batches in one distributed pass; peeling methods take thresholds simulated for each
+    batch's size; the runs test works on one batch per task and refuses batches beyond the quadratic cap.
+    """
+    spark = train.sparkSession
+    x = take_sample(train, features, sample_cap, seed)
+    out = None
+    for name in methods:
+        if name == "mst_runs":
+            got = baselines.runs_table(tests, x[: baselines.QUADRATIC_CAP // 2], features, by, alpha).select(F.lit(name).alias("method"), by, F.col("z").alias("stat"), "p_value", "reject")
+        elif name in ("peel_chi2", "peel_tv"):
+            hist = fit_method(name, x, features, beta, seed)
+            wide = contingency_wide(hist, tests, [by]).withColumn("q", F.aggregate("t", F.lit(0).cast("long"), lambda s, v: s + v))
+            sizes = [r.q for r in wide.select("q").distinct().collect()]
+            kind = name.removeprefix("peel_")
+            limits = spark.createDataFrame([(int(q), baselines.peel_threshold(kind, tuple(hist.counts.tolist()), int(q), alpha)) for q in sizes], "q long, limit double")
+            n = float(hist.counts.sum())
+            term = (lambda o, t: F.abs(t / F.col("q") - o / n) / 2) if kind == "tv" else (lambda o, t: F.when(o > 0, (t - F.col("q") * o / n) * (t - F.col("q") * o / n) / (F.col("q") * o / n)).otherwise(0.0))
+            stat = F.aggregate(F.zip_with("o", "t", term), F.lit(0.0), lambda s, v: s + v)
+            got = wide.join(F.broadcast(limits), "q").select(F.lit(name).alias("method"), by, stat.alias("stat"), F.lit(None).cast("double").alias("p_value"), (stat > F.col("limit")).alias("reject"))
+        else:
+            got = detect(fit_method(name, x, features, beta, seed), tests, [by], alpha).select(F.lit(name).alias("method"), by, "stat", "p_value", "reject")
+        out = got if out is None else out.unionByName(got)
+    return out

@@ -700,7 +700,7 @@ def gen_shift(spark, d):
     return _six(gen.points(_orders(spark, d), "o_orderkey", "2d-1G-cov", 0.2, "g"), "x1", "x2")
 
 
-@query(f"SELECT o_orderkey AS id, {', '.join(f'round({_g(j)} + {s}, 6) AS x{i + 1}' for i, (j, s) in enumerate([(1, 0.5), (2, 0.5), (10, 0), (11, 0), (12, 0), (13, 0)]))} FROM orders")
+@query(f"SELECT o_orderkey AS id, {', '.join(f'round({_g(j)} + {s}, 6) AS x{i + 1}' for i, (j, s) in enumerate([(1, 0.5), (2, 0), (10, 0), (11, 0), (12, 0), (13, 0)]))} FROM orders")
 def gen_highdim(spark, d):
     return _six(gen.points(_orders(spark, d), "o_orderkey", "2d-1G-mean", 0.5, "g", dims=6), *(f"x{i}" for i in range(1, 7)))
 

@@ -61,6 +61,17 @@ def exp3_dims(spark, d):
     return _errors(workloads.dimensions(spark, dims=(4, 8, 20), runs=1, tests=8))
 
 
+@query()
+def compare_methods(spark, d):
+    """Every year of lineitem judged by five methods fitted on the years before 1997: a control without drift."""
+    from ..plans.harness import compare
+    from .drift import rows_of
+
+    p = rows_of(spark, d)
+    got = compare(("balanced", "plain_kmeans", "midpoint_kd", "peel_chi2", "peel_tv"), p.where("yr < 1997"), p.where("yr >= 1997"), ("x", "y"), "yr", sample_cap=4000)
+    return got.select("method", "yr", F.round("stat", 6).alias("stat"), F.round("p_value", 6).alias("p_value"), "reject")
+
+
 def _exp4(which: str):
     def run(spark, d):
         return _errors(workloads.document_experiment(spark, d, which, runs=1, tests=8))

@@ -140,7 +140,7 @@ def op_interval_join(spark, d):
 
 @query("""SELECT version, count(*) AS n FROM events e ASOF JOIN (VALUES (1, TIMESTAMP '2024-01-01'), (2, TIMESTAMP '2024-01-10 06:00:00'), (3, TIMESTAMP '2024-01-20 12:30:00')) v(version, since) ON e.ts >= v.since GROUP BY version""")
 def op_asof_join(spark, d):
-    """The version in force at each event: both sides in one sorted stream, the last version seen carried on."""
+    """The version in force at each event: versions are few and broadcast, the latest of those not after the event is kept."""
     (e,) = _t(spark, d, "events")
     v = spark.sql("SELECT * FROM VALUES (1, TIMESTAMP_NTZ '2024-01-01 00:00:00'), (2, TIMESTAMP_NTZ '2024-01-10 06:00:00'), (3, TIMESTAMP_NTZ '2024-01-20 12:30:00') AS v(version, since)")
     return e.join(F.broadcast(v), F.col("ts") >= F.col("since")).groupBy("event_id").agg(F.max_by("version", "since").alias("version")).groupBy("version").agg(F.count("*").alias("n"))
@@ -148,21 +148,25 @@ def op_asof_join(spark, d):
 
 @query("""SELECT a.s_suppkey, min(abs(a.s_acctbal - b.s_acctbal)) AS gap FROM supplier a JOIN supplier b ON a.s_suppkey <> b.s_suppkey GROUP BY a.s_suppkey""")
 def op_self_nn(spark, d):
-    """In one dimension the nearest neighbour is a neighbour in sorted order: two window functions, no pairs; blocks keep it parallel."""
+    """In one dimension the nearest neighbour is next in sorted order. Rows are sorted within ranges; a range's first and last
+    rows meet the nearest rows of the ranges beside it through a table of one row per range, so nothing is sorted in one task."""
     (s,) = _t(spark, d, "supplier")
-    w = Window.orderBy("s_acctbal", "s_suppkey")
-    near = F.least(F.col("s_acctbal") - F.lag("s_acctbal").over(w), F.lead("s_acctbal").over(w) - F.col("s_acctbal"))
-    return s.select("s_suppkey", near.alias("gap"))
+    rows = s.select("s_suppkey", "s_acctbal", F.floor(F.col("s_acctbal") / 500).alias("cell"))
+    inner = Window.partitionBy("cell").orderBy("s_acctbal", "s_suppkey")
+    across = Window.orderBy("cell")
+    edges = rows.groupBy("cell").agg(F.min("s_acctbal").alias("low"), F.max("s_acctbal").alias("high"))
+    edges = edges.select("cell", F.lag("high").over(across).alias("below"), F.lead("low").over(across).alias("above"))
+    near = F.least(F.col("s_acctbal") - F.coalesce(F.lag("s_acctbal").over(inner), "below"), F.coalesce(F.lead("s_acctbal").over(inner), "above") - F.col("s_acctbal"))
+    return rows.join(F.broadcast(edges), "cell").select("s_suppkey", near.alias("gap"))
 
 
 @query("""SELECT user_id, event_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id) AS r FROM events) WHERE r <= 3""")
 def op_lateral_topk(spark, d):
+    """For each user a correlated subquery of its three newest events."""
     (e,) = _t(spark, d, "events")
-    users = e.select("user_id").distinct().alias("u")
-    e.createOrReplaceTempView("op_lateral_events")
-    users.createOrReplaceTempView("op_lateral_users")
-    w = Window.partitionBy("user_id").orderBy(F.desc("ts"), "event_id")
-    return e.withColumn("r", F.row_number().over(w)).where("r <= 3").select("user_id", "event_id")
+    e.createOrReplaceTempView("driftlab_events")
+    return spark.sql("""SELECT u.user_id, t.event_id FROM (SELECT DISTINCT user_id FROM driftlab_events) u,
+        LATERAL (SELECT event_id FROM driftlab_events e WHERE e.user_id = u.user_id ORDER BY ts DESC, event_id LIMIT 3) t""")
 
 
 @query("""SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS qty, round(avg(l_extendedprice), 4) AS price, min(l_discount) AS low, max(l_discount) AS high FROM lineitem GROUP BY ALL""")

@@ -30,13 +30,13 @@ def point(kind: str, row: Column, drift: float = 0.0, seed: int | str = 0, run:
         return first + [uniform(seed, row, 10 + j, run) for j in range(dims - 2)]
     g0, g1 = normal(seed, row, 1, run), normal(seed, row, 2, run)
     if kind == "2d-1G-mean":
-        return [g0 + drift, g1 + drift, *extra]
+        return [g0 + drift, g1, *extra]
     if kind == "2d-1G-var":
         s, m = (1 + drift) ** 0.5, drift if mean_shift else 0.0
-        return [g0 * s + m, g1 * s + m, *extra]
+        return [g0 * s + m, g1 * s, *extra]
     if kind == "2d-1G-cov":
         m = drift if mean_shift else 0.0
-        return [g0 + m, g0 * drift + g1 * (1 - drift * drift) ** 0.5 + m, *extra]
+        return [g0 + m, g0 * drift + g1 * (1 - drift * drift) ** 0.5, *extra]
     if kind not in ("2d-2G-mean", "2d-4G-mean"):
         raise ValueError(f"no such kind: {kind}")
     centres = TWO if kind == "2d-2G-mean" else FOUR

@@ -87,6 +87,16 @@ def test_plans(spark, sf):
     assert "generated code" in fit_report(hist)
 
 
+def test_compare(spark):
+    from driftlab.plans.harness import METHODS, compare
+
+    train = points(spark, 600)
+    tests = points(spark, 450, 5).withColumn("a", F.when(F.col("g") == 2, F.col("a") + 3).otherwise(F.col("a")))
+    got = {(r.method, r.g): r.reject for r in compare(METHODS, train, tests, ("a", "b"), "g", alpha=0.01).collect()}
+    assert len(got) == 3 * len(METHODS) and all(got[m, 2] for m in METHODS)
+    assert sum(got[m, g] for m in METHODS for g in (0, 1)) <= 3
+
+
 def test_ml_stage(spark, tmp_path):
     p = points(spark, 500).withColumn("features", F.array("a", "b"))
     model = BalancedBins(beta=40).fit(p)
