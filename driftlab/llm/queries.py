@@ -70,6 +70,21 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_find_secrets, op3_simhash_components, op4_exact_topk, op5_sample_pieces, op6_exact_dedup, op7_line_quality, op8_chat_format, op9_cut_repeats, op10_suffix_dedup)}
 
 ORACLE = {
+    # the bytes as hexadecimal digits, so that a window of 400 bytes is a substring of 800 digits
+    "op10_suffix_dedup": """
+        WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, strlen(coalesce(text, ''))::BIGINT AS n FROM documents),
+             w AS (SELECT doc_id, h, unnest(range(0, greatest(n - 399, 0))) AS p FROM d),
+             k AS (SELECT doc_id, p, md5(substr(h, 2 * p + 1, 800)) AS k FROM w),
+             c AS (SELECT k FROM k GROUP BY k HAVING count(*) > 1),
+             x AS (SELECT doc_id, p FROM k SEMI JOIN c USING (k)),
+             f AS (SELECT doc_id, p, CASE WHEN p <= lag(p) OVER (PARTITION BY doc_id ORDER BY p) + 400 THEN 0 ELSE 1 END AS fresh FROM x),
+             i AS (SELECT doc_id, p, sum(fresh) OVER (PARTITION BY doc_id ORDER BY p ROWS UNBOUNDED PRECEDING) AS g FROM f),
+             s AS (SELECT doc_id, min(p) AS a, max(p) + 400 AS b FROM i GROUP BY doc_id, g),
+             j AS (SELECT doc_id, list(a ORDER BY a) AS la, list(b ORDER BY a) AS lb, sum(b - a)::BIGINT AS gone, count(*) AS spans FROM s GROUP BY doc_id)
+        SELECT d.doc_id, n AS n_bytes, coalesce(gone, 0) AS n_removed, coalesce(spans, 0) AS n_spans,
+               sha256(unhex(CASE WHEN la IS NULL THEN h ELSE array_to_string(list_transform(range(0, len(la) + 1),
+                   lambda i: substr(h, 2 * coalesce(lb[i], 0) + 1, 2 * (coalesce(la[i + 1], n) - coalesce(lb[i], 0)))), '') END)) AS kept_sha256
+        FROM d LEFT JOIN j ON d.doc_id = j.doc_id""",
     "op9_cut_repeats": """
         WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x09-\\x0D\\x20]+'), lambda x: x <> '') AS ws FROM documents),
              g AS (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 48, 1))) AS p FROM w),
