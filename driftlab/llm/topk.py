@@ -81,8 +81,11 @@ def _pairs(batch: pa.RecordBatch):
         yield qi, ci, s, own, low, width
 
 
-def _count(bins: int):
-    """Per block pair: for each query, how many scores lie above the interval, and in each slice of it."""
+def _count(bins: int, k: int):
+    """Per block pair: for each query, how many scores lie in each slice of its interval.
+
+    Only slices with fewer than k scores above them in the pair are put out: the k-th best of all lies in none of the others.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -93,7 +96,9 @@ def _count(bins: int):
                 row = np.broadcast_to(np.arange(len(qi))[:, None], s.shape)
                 seen = at >= 0
                 table = np.bincount(row[seen] * (bins + 1) + at[seen], minlength=len(qi) * (bins + 1))
-                hit = np.flatnonzero(table)
+                grid = table.reshape(len(qi), bins + 1)
+                above = grid[:, ::-1].cumsum(axis=1)[:, ::-1] - grid
+                hit = np.flatnonzero((table > 0) & (above.ravel() < k))
                 yield pa.RecordBatch.from_arrays([pa.array(qi[hit // (bins + 1)]), pa.array((hit % (bins + 1)).astype(np.int32)), pa.array(table[hit].astype(np.int64))], names=["query_id", "slice", "n"])
 
     return run
@@ -180,7 +185,7 @@ def top_k(
     width = max(1, -(-span // bins))
     state = queries.select("dim", "query_id", "vector", "low", F.lit(width).cast("long").alias("width"), F.lit(k).cast("long").alias("need"))
     while True:
-        counts = paired(state).mapInArrow(_count(bins), "query_id long, slice int, n long").groupBy("query_id", "slice").agg(F.sum("n").alias("n"))
+        counts = paired(state).mapInArrow(_count(bins, k), "query_id long, slice int, n long").groupBy("query_id", "slice").agg(F.sum("n").alias("n"))
         above = Window.partitionBy("query_id").orderBy(F.desc("slice")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
         found = counts.withColumn("upto", F.sum("n").over(above)).where(F.col("upto") >= k).groupBy("query_id").agg(F.max("slice").alias("slice"))
         # a query with fewer than k candidates keeps the whole interval
