@@ -41,9 +41,9 @@ _BLANK = 0x20
 _ONE = 1 << 30
 _UNIT = float(1 << 32)
 #: Bytes of text searched at once.
-CHUNK = 768 << 10
+CHUNK = 1 << 20
 #: Lattice nodes that a worker keeps between chunks.
-CACHE_NODES = 1_000_000
+CACHE_NODES = 1_500_000
 
 
 def load_vocabulary(path: str = MODEL, shift: float = 10.0) -> dict:
