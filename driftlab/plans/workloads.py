@@ -33,16 +33,19 @@ def partition_experiment(spark: SparkSession, n: int = 1350, k: int = 9) -> Data
     return spark.createDataFrame(rows, "shape string, method string, intensity_sd double, min_count int, max_count int")
 
 
-def two_dimensional(spark: SparkSession, runs: int = 3, tests: int = 20, n_train: int = 2000, methods: Sequence[str] = METHODS, kinds: Sequence[str] | None = None) -> DataFrame:
+def two_dimensional(spark: SparkSession, runs: int = 3, tests: int = 20, n_train: int = 2000, methods: Sequence[str] = METHODS, kinds: Sequence[str] | None = None, fit: dict | None = None) -> DataFrame:
     """Trials of the six two-dimensional workloads."""
-    return run_trials(synthetic_sets(spark, kinds, runs, n_train, 200, tests), ("x1", "x2"), methods)
+    return run_trials(synthetic_sets(spark, kinds, runs, n_train, 200, tests), ("x1", "x2"), methods, fit=fit)
 
 
-def training_sizes(spark: SparkSession, sizes: Sequence[int] = (2000, 3000, 4000, 5000), runs: int = 2, tests: int = 20, kinds: Sequence[str] = ("2d-1G-mean", "2d-2G-mean")) -> DataFrame:
-    """Trials of the proposed method with growing training sets; the workload carries the size."""
+def training_sizes(spark: SparkSession, sizes: Sequence[int] = (2000, 3000, 4000, 5000), runs: int = 2, tests: int = 20, kinds: Sequence[str] | None = ("2d-1G-mean", "2d-2G-mean"), expected: bool = True) -> DataFrame:
+    """Trials of the proposed method with growing training sets; the workload carries the size.
+
+    expected: bins must also expect 5 test rows, which bounds their number; without, it grows with the training set and single bins expect ever fewer.
+    """
     out = None
     for n in sizes:
-        got = two_dimensional(spark, runs, tests, n, ("balanced",), kinds).withColumn("workload", F.concat("workload", F.lit(f"/{n}")))
+        got = two_dimensional(spark, runs, tests, n, ("balanced",), kinds, {"expect_test_size": 200} if expected else None).withColumn("workload", F.concat("workload", F.lit(f"/{n}")))
         out = got if out is None else out.unionByName(got)
     return out
 
