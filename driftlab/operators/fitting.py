@@ -240,6 +240,33 @@ def theta_search(x: np.ndarray, mu: np.ndarray, ratio: np.ndarray, o: FitOptions
     return best
 
 
+def theta_table(df: DataFrame, features: Sequence[str], centroids: np.ndarray, ratio: np.ndarray, grid: Sequence[float] | None = None) -> DataFrame:
+    """(theta, bin, n): bin counts of a table of any size at every strength.
+
+    Distances are computed once per Arrow batch and reused for the whole grid; a batch puts out its counts, strengths x bins
+    rows, and those are summed in one small shuffle.
+    """
+    ship(df.sparkSession)
+    mu = np.asarray(centroids, float)
+    steps = tuple(theta_grid() if grid is None else grid)
+    squares = [bin_weights(ratio, t) ** 2 for t in steps]
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total = np.zeros((len(steps), len(mu)), np.int64)
+        for f in frames:
+            x = f.to_numpy(float)
+            d = np.zeros((len(x), len(mu)))
+            for j in range(x.shape[1]):
+                d += (x[:, [j]] - mu[:, j]) ** 2
+            for k, w2 in enumerate(squares):
+                total[k] += np.bincount((d * w2).argmin(axis=1), minlength=len(mu))
+        at, b = np.nonzero(total)
+        yield pd.DataFrame({"theta": np.array(steps, float)[at], "bin": b.astype(np.int32), "n": total[at, b]})
+
+    rows = df.select(*(F.col(f).cast("double").alias(f"x{i}") for i, f in enumerate(features)))
+    return rows.mapInPandas(run, "theta double, bin int, n long").groupBy("theta", "bin").agg(F.sum("n").alias("n"))
+
+
 # ------------------------------------------------------------------ the whole fit
 
 

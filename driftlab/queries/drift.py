@@ -187,17 +187,7 @@ def _theta_sql(tail: str) -> str:
 
 
 def theta_counts(spark, d) -> DataFrame:
-    """(theta, bin, n) for the whole grid: distances once per row, then one weighted label per strength, counted in one shuffle."""
-    r = fitting.intensity(counted(spark, d, _ONES))
-    p = rows_of(spark, d)
-    gaps = [(F.col("x") - a) * (F.col("x") - a) + (F.col("y") - b) * (F.col("y") - b) for a, b in CENTRES]
-    p = p.select(*(g.alias(f"d{k}") for k, g in enumerate(gaps)))
-    cells = []
-    for theta in fitting.theta_grid():
-        w = fitting.bin_weights(r, theta)
-        best = F.array_min(F.array(*(F.struct((F.col(f"d{k}") * float(w[k] * w[k])).alias("d"), F.lit(k).alias("bin")) for k in range(4))))
-        cells.append(F.struct(F.lit(theta).alias("theta"), best["bin"].alias("bin")))
-    return p.select(F.explode(F.array(*cells)).alias("c")).groupBy("c.theta", "c.bin").agg(F.count("*").alias("n"))
+    return fitting.theta_table(rows_of(spark, d), XY, np.array(CENTRES), fitting.intensity(counted(spark, d, _ONES)))
 
 
 @query(_theta_sql("SELECT theta, bin::INTEGER AS bin, n FROM b"))
