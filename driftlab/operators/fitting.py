@@ -43,7 +43,6 @@ class FitOptions:
     init: str = "greedy"
     expect_test_size: int | None = None
     scale: str = "none"
-    pca: int | None = None
     nn: str = "incremental"
     sample_cap: int | None = SAMPLE_CAP
     max_iter: int = 100
@@ -319,8 +318,6 @@ def fit_array(x: np.ndarray, features: Sequence[str], o: FitOptions | None = Non
         raise ValueError("a training feature is null, NaN or infinite")
     shift, scale = scaler(x, o.scale)
     z = x if shift is None else (x - shift) / scale
-    if o.pca and o.pca < z.shape[1]:
-        raise ValueError("project features before the fit (principal_axes)")
     attempt = attempt or (lambda k: try_k(z, k, o))
     trail: list = []
     hit = None
@@ -401,6 +398,20 @@ def principal_axes(x: np.ndarray, d: int) -> np.ndarray:
     return axes * np.sign(axes[np.abs(axes).argmax(axis=0), np.arange(axes.shape[1])])
 
 
+def pca_columns(df: DataFrame, features: Sequence[str], d: int, sample_cap: int = SAMPLE_CAP, seed: int = 0) -> tuple[DataFrame, tuple[str, ...], np.ndarray]:
+    """df with d projected columns pc1, ..., their names, and the axes: dimension reduction before a fit, as generated code."""
+    x = take_sample(df, features, sample_cap, seed)
+    axes, centre = principal_axes(x, d), x.mean(axis=0)
+    names = tuple(f"pc{k + 1}" for k in range(d))
+    cols = {}
+    for k, name in enumerate(names):
+        c = F.lit(0.0)
+        for j, f in enumerate(features):
+            c = c + (F.col(f).cast("double") - float(centre[j])) * float(axes[j, k])
+        cols[name] = c
+    return df.withColumns(cols), names, axes
+
+
 # ------------------------------------------------------------------ relational twin
 
 

@@ -268,6 +268,14 @@ def fit_ablations(spark, d):
     return spark.createDataFrame(rows, "variant string, kind string, n_bins int, theta double, min_count int")
 
 
+@query()
+def fit_pca(spark, d):
+    """The first two principal axes of four columns, then the fit."""
+    li = table(spark, d, "lineitem")
+    df, names, _ = fitting.pca_columns(li, ("l_quantity", "l_extendedprice", "l_discount", "l_tax"), 2, 2000)
+    return _describe(spark, fitting.fit_balanced(df, names, sample_cap=2000, scale="zscore"))
+
+
 # ------------------------------------------------------------------ count tables and tests
 
 

@@ -196,6 +196,47 @@ def batch_window_counts(spark, d):
     return got.groupBy(F.unix_micros("start").alias("start")).agg(F.sum("n").alias("n"))
 
 
+@query("SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey")
+def stream_static_join(spark, d):
+    """Each event of the stream with its customer's segment, into a Parquet sink."""
+    c = table(spark, d, "customer").select("c_custkey", "c_mktsegment")
+    got = _stream(spark, d).join(c, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")
+    return monitor.run_to_table(spark, got, _shared(spark, "static"), _shared(spark, "static-state"))
+
+
+@query("SELECT a.event_id, b.event_id AS label_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id % 2 = 0 AND b.event_id % 2 = 1 AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 2 HOUR")
+def stream_stream_join(spark, d):
+    """Even events with the odd events of the same user in the two hours after them, as late labels."""
+    a = _stream(spark, d).where("event_id % 2 = 0").select("event_id", "user_id", "ts")
+    b = _stream(spark, d).where("event_id % 2 = 1").select(F.col("event_id").alias("label_id"), "user_id", F.col("ts").alias("label_ts"))
+    got = monitor.labels_within(a, b, "user_id", "ts", "label_ts", "2 hours").select("event_id", "label_id")
+    return monitor.run_to_table(spark, got, _shared(spark, "pairs"), _shared(spark, "pairs-state"))
+
+
+@query("SELECT event_id, 1 AS n FROM events")
+def stream_dedup(spark, d):
+    """The stream twice over, each event once."""
+    s = _stream(spark, d).select("event_id", "ts")
+    got = monitor.run_to_table(spark, monitor.once(s.union(_stream(spark, d).select("event_id", "ts")), ["event_id"], "ts").select("event_id"), _shared(spark, "once"), _shared(spark, "once-state"))
+    return got.groupBy("event_id").agg(F.count("*").cast("int").alias("n"))
+
+
+_E15 = "(SELECT *, value * CASE WHEN ts >= TIMESTAMP '2024-01-15' THEN 1.5 ELSE 1.0 END / 100 AS x, hour(ts) / 24.0 AS y FROM events)"
+_DRIFT = _DAYS.replace(_E, _E15).replace("FROM t), m AS", "FROM t WHERE day < TIMESTAMP '2024-01-15'), m AS")
+
+
+@query(f"{_DRIFT} SELECT {_US('day')} AS start, round(stat, 6) AS stat, {sf_sql('stat', '2')} < 0.05 AS reject, q::BIGINT AS n_test FROM r")
+def stream_drift(spark, d):
+    """Values grow by half from day 15 on: every closed day against the days before."""
+    late = F.col("ts") >= F.lit("2024-01-15").cast("timestamp")
+    moved = lambda df: df.withColumn("x", F.col("x") * F.when(late, 1.5).otherwise(1.0))
+    before = {r.bin: r.n for r in _hist().assign(moved(_features(table(spark, d, "events"))).where(~late)).groupBy("bin").agg(F.count("*").alias("n")).collect()}
+    out = _shared(spark, "drift")
+    hist = _hist(np.array([before.get(k, 0) for k in range(3)]))
+    monitor.detect_stream(moved(_stream(spark, d)), hist, "ts", ("1 day",), lambda df, _: df.write.mode("append").parquet(out), _shared(spark, "drift-state")).awaitTermination()
+    return spark.read.parquet(out).select(F.unix_micros("start").alias("start"), F.round("stat", 6).alias("stat"), "reject", "n_test")
+
+
 # ------------------------------------------------------------------ adaptation
 
 

@@ -222,6 +222,21 @@ def op_approx_percentile(spark, d):
     return li.crossJoin(F.broadcast(mid)).agg((F.abs(F.avg((F.col("l_extendedprice") <= F.col("mid")).cast("int")) - 0.5) < 0.01).alias("within"))
 
 
+@query("SELECT count(*) AS n, true AS within FROM lineitem")
+def op_kll_sketch(spark, d):
+    """Whether the KLL sketch of the median price has a rank within 2 percent of one half."""
+    (li,) = _t(spark, d, "lineitem")
+    mid = li.agg(F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("l_extendedprice"), F.lit(0.5)).alias("mid"))
+    return li.crossJoin(F.broadcast(mid)).agg(F.count("*").alias("n"), (F.abs(F.avg((F.col("l_extendedprice") <= F.col("mid")).cast("int")) - 0.5) < 0.02).alias("within"))
+
+
+@query("SELECT count(*)::DOUBLE AS n, 10 AS bins FROM events")
+def op_histogram_numeric(spark, d):
+    (e,) = _t(spark, d, "events")
+    h = e.agg(F.histogram_numeric("value", F.lit(10)).alias("h"))
+    return h.select(F.aggregate("h", F.lit(0.0), lambda s, b: s + b["y"]).alias("n"), F.size("h").alias("bins"))
+
+
 _RNC = "FROM region JOIN nation ON r_regionkey = n_regionkey JOIN customer ON n_nationkey = c_nationkey"
 
 

@@ -58,6 +58,25 @@ def run_to_memory(spark: SparkSession, df: DataFrame, name: str, checkpoint: str
     return spark.table(name)
 
 
+def run_to_table(spark: SparkSession, df: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Runs a streaming frame over what is there into a Parquet sink and reads it back: nothing comes to the driver."""
+    df.writeStream.outputMode("append").format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def labels_within(stream: DataFrame, labels: DataFrame, key: str, ts: str, label_ts: str, delay: str, watermark: str = "1 hour") -> DataFrame:
+    """Stream-stream join: each row with the labels of its key that arrive at most `delay` after it."""
+    a = stream.withWatermark(ts, watermark).alias("a")
+    b = labels.withWatermark(label_ts, watermark).alias("b")
+    near = (F.col(f"b.{label_ts}") >= F.col(f"a.{ts}")) & (F.col(f"b.{label_ts}") <= F.col(f"a.{ts}") + F.expr(f"INTERVAL {delay}"))
+    return a.join(b, (F.col(f"a.{key}") == F.col(f"b.{key}")) & near)
+
+
+def once(stream: DataFrame, keys: Sequence[str], ts: str, watermark: str = "1 hour") -> DataFrame:
+    """Each key once while the watermark remembers it."""
+    return stream.withWatermark(ts, watermark).dropDuplicatesWithinWatermark(list(keys))
+
+
 def late_rows(query) -> int:
     """Rows that a finished query's stateful operators dropped for being behind the watermark."""
     return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in p["stateOperators"])
