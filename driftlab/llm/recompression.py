@@ -238,11 +238,20 @@ def _window_rows(window: int):
                 lead = _first_of(f1) | _first_of(f2)
                 smallest = who[np.maximum.accumulate(np.where(lead, np.arange(len(lead)), 0))]
                 later = who > smallest
-                # settled: a smaller id in this chunk has the window; open: the chunk's smallest id
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(later), pa.array(np.where(later, who, signed(f1))), pa.array(np.where(later, 0, signed(f2))), pa.array(who), pa.array(place)],
-                    names=["settled", "f1", "f2", "doc_id", "place"],
-                )
+                # open: one row per window, of the chunk's smallest id; settled: one row per document
+                for settled in (False, True):
+                    at = np.flatnonzero(later == settled)
+                    if settled:
+                        at = at[np.argsort(who[at], kind="stable")]
+                        head = np.flatnonzero(_first_of(who[at]))
+                    else:
+                        head = np.flatnonzero(lead[at])
+                    if not len(at):
+                        continue
+                    first = at[head]
+                    places = pa.ListArray.from_arrays(pa.array(np.append(head, len(at)).astype(np.int32)), pa.array(place[at]))
+                    tag = (who[first], np.zeros(len(first), np.int64)) if settled else (signed(f1[first]), signed(f2[first]))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(first), settled)), pa.array(tag[0]), pa.array(tag[1]), pa.array(who[first]), places], names=["settled", "f1", "f2", "doc_id", "places"])
 
     return run
 
@@ -310,10 +319,10 @@ def cut_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_
     shared = keys.withColumn("spread", spread).where("spread").groupBy("doc_id").agg(F.collect_list("key").alias("keys"))
     # a copy is settled already and asks for no window
     asked = shared.join(copies, "doc_id", "left_anti")
-    rows = texts.join(asked, "doc_id", "left").select("doc_id", "text", "keys").mapInArrow(_window_rows(window), "settled boolean, f1 long, f2 long, doc_id long, place int")
+    rows = texts.join(asked, "doc_id", "left").select("doc_id", "text", "keys").mapInArrow(_window_rows(window), "settled boolean, f1 long, f2 long, doc_id long, places array<int>")
     by = Window.partitionBy("settled", "f1", "f2")
     found = rows.withColumn("low", F.min("doc_id").over(by)).where(F.col("settled") | (F.col("doc_id") > F.col("low")))
-    places = found.groupBy("doc_id").agg(F.collect_list("place").alias("places"))
+    places = found.groupBy("doc_id").agg(F.flatten(F.collect_list("places")).alias("places"))
     marks = places.join(copies, "doc_id", "full")
     out = texts.join(marks, "doc_id", "left").select("doc_id", "text", "places", "copy").mapInArrow(
         _cut_rows(window), "doc_id long, n_words long, n_removed long, removed array<long>, kept_sha256 string, kept_text string"
