@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SpanHash, as_text, byte_hash, chunks, mix64, ship, signed, text_buffer, word_spans
+from .common import SpanHash, as_text, byte_hash, chunks, cut, mix64, ship, signed, text_buffer, word_spans
 
 _U = np.uint64
 _FAR = np.int64(1) << np.int64(40)
@@ -310,7 +310,8 @@ def cut_repeats(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_
     texts = as_text(docs.select(stand_in(id_col, text_col), F.col(text_col).cast("string").alias("text")))
     # whole copies: the smallest id speaks for the text
     digest = texts.select("doc_id", F.sha2("text", 256).alias("digest"))
-    low = digest.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1")
+    # written, so that the join below meets plain exchanges, which the adaptive skew join can split
+    low = cut(digest.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1"))
     copies = digest.join(low, "digest").where("doc_id <> rep").select("doc_id", F.lit(True).alias("copy")).distinct()
 
     keys = texts.mapInArrow(_key_rows(window), "key long, doc_id long, salt long, shared boolean")
