@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import as_text, byte_hash, chunks, mix64, ship, signed, text_buffer
+from .common import as_text, byte_hash, chunks, cut, mix64, ship, signed, text_buffer
 from .recompression import NO_ID, stand_in
 
 _U = np.uint64
@@ -426,7 +426,8 @@ def cut_repeated_bytes(docs: DataFrame, length: int = 400, id_col: str = "doc_id
     buckets = buckets or max(16, 2 * int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
     texts = as_text(docs.select(stand_in(id_col, text_col), F.col(text_col).cast("string").alias("text")))
     digest = texts.select("doc_id", F.sha2("text", 256).alias("digest"))
-    low = digest.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1")
+    # written, so that the join below meets plain exchanges, which the adaptive skew join can split
+    low = cut(digest.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1"))
     copies = digest.join(low, "digest").select("doc_id", F.lit(True).alias("copy"), (F.col("doc_id") == F.col("rep")).alias("speaks")).groupBy("doc_id", "copy").agg(F.max("speaks").alias("speaks"))
 
     keys = texts.mapInArrow(_key_rows(length), "key long, doc_id long, salt long, shared boolean, what long")
