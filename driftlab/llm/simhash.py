@@ -23,6 +23,7 @@ answer each; null identifiers get a component but are never one; an empty table
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from collections.abc import Iterator
 from functools import cache
 
@@ -166,38 +167,50 @@ def shingle_hashes(text: bytes, shingle: int) -> np.ndarray:
     return np.fromiter((xxhash.xxh64_intdigest(joined[i:j], 42) for i, j in zip(starts, stops, strict=True)), np.uint64, n)
 
 
-def part_prints(hashes: np.ndarray, similarity: float, parts: int = 16, per_part: int = 4) -> list[int]:
-    """SimHash fingerprints of parts of a shingle set.
+@cache
+def size_floors(similarity: float) -> list[int]:
+    """Least sizes of the size classes: a set's partners at `similarity` lie in its own class, the one before or the one after."""
+    floors = [1]
+    while floors[-1] < 1 << 40:
+        floors.append(int(floors[-1] / similarity + 1e-9) + 1)
+    return floors
+
+
+def most_apart(sizes: int, similarity: float) -> int:
+    """Most elements in one of two sets only, if the sets have `sizes` elements together and Jaccard similarity `similarity` or more."""
+    return int(sizes * (1 - similarity) / (1 + similarity) + 1e-9)
+
+
+def part_prints(hashes: np.ndarray, similarity: float) -> list[int]:
+    """Fingerprints of parts of a shingle set; two sets of Jaccard similarity `similarity` or more share at least one.
 
-    A part is the shingles whose hash falls in a range that holds `per_part` of them on average, so
-    two sets of Jaccard similarity s have the same part with probability about exp(-1.1 (1 - s) per_part),
-    for each of `parts` parts: at 0.8 a pair without any equal part is one in several thousand. Ranges follow the set's
-    size by powers of two; sets that may have partners of the next smaller power use its ranges too.
-    Small sets cover all hashes in several different orders.
+    A part is the shingles of one hash range. A class has more ranges than two of its sets can differ in
+    elements, so some range holds the same in both. If a set has more filled ranges than it can differ from
+    any partner, one of these is shared; else its empty ranges are parts as well. A set has the parts of
+    its own size class and of the next, where it meets the larger partners.
     """
     kinds = np.unique(hashes)
     n = len(kinds)
     if not n:
         return [int(mix64(np.array([7], np.uint64))[0])]
-    top = n.bit_length() - 1
+    floors = size_floors(similarity)
+    own = bisect_right(floors, n) - 1
+    mixed = mix64(kinds)
+    order = np.argsort(mixed)
+    high, terms = (mixed[order] >> np.uint64(32)).astype(np.int64), mix64(kinds[order] ^ np.uint64(0x5851F42D4C957F2D))
     out: list[int] = []
-    for e in {top, top - 1} if similarity * n < (1 << top) and top else {top}:
-        cells = max(1, round(1.5 * (1 << e) / per_part))
-        for order in range(-(-parts // cells)):
-            mixed = mix64(kinds + np.uint64(order * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
-            cell = (mixed >> np.uint64(32)).astype(np.int64) * cells >> 32
-            some = np.flatnonzero(cell < parts)
-            some = some[np.argsort(cell[some], kind="stable")]
-            if not len(some):
-                continue
-            cell = cell[some]
-            first = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
-            count = np.diff(np.append(first, len(cell)))
-            bits = np.add.reduceat(np.unpackbits(kinds[some].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int32), first, axis=0)
-            prints = np.packbits(2 * bits > count[:, None], axis=1, bitorder="little").view(np.uint64).ravel()
-            with np.errstate(over="ignore"):
-                tags = mix64(prints + cell[first].astype(np.uint64) * np.uint64(0x9FB21C651E98DF25) + np.uint64(e * 1000 + order))
-            out += tags.tolist()
+    for level in (own, own + 1):
+        most = floors[level + 1] - 1
+        apart = most_apart(2 * most, similarity)
+        cells = apart + 2 + apart // 6 if apart else 1
+        cell = high * cells >> 32
+        first = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
+        salt = np.uint64(level * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
+        number = cell[first].astype(np.uint64)
+        tags = [mix64(np.add.reduceat(terms, first) + mix64(number + salt))]
+        if len(first) <= most_apart(n + min(most, int(n / similarity + 1e-9)), similarity):
+            tags.append(mix64(mix64(np.setdiff1d(np.arange(cells), cell[first]).astype(np.uint64) + salt)))
+        out += np.concatenate(tags).tolist()
     return out
 
 

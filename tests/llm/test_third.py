@@ -141,6 +141,19 @@ def test_similar_components(spark):
     assert simhash.similar_components(docs(spark, [])).count() == 0
 
 
+def test_parts_are_lossless():
+    """Sets at the threshold always share a part, whatever their sizes."""
+    rng = np.random.default_rng(5)
+    for n in [*range(1, 40), 127, 260, 520]:
+        for _ in range(2000 if n == 127 else 100):
+            # the whole difference on one side, or a swap of as many elements as the threshold allows
+            x = rng.integers(0, 1 << 63, n).astype(np.uint64)
+            for gone, new in ((n // 5, 0), (int(n / 9), int(n / 9))):
+                y = np.concatenate([x[gone:], rng.integers(0, 1 << 63, new).astype(np.uint64)])
+                if len(y) and len(np.intersect1d(x, y)) >= 0.8 * len(np.union1d(x, y)):
+                    assert set(simhash.part_prints(x, 0.8)) & set(simhash.part_prints(y, 0.8)), (n, gone, new)
+
+
 def test_mixed_documents(spark):
     rng = random.Random(3)
     rows = [(i, " ".join(f"w{i}" for _ in range(rng.randint(0, 40))) + "\n", rng.choice(["a", "b", None])) for i in range(80)] + [(None, "x y", None), (500, None, "a")]
