@@ -214,18 +214,100 @@ def part_prints(hashes: np.ndarray, similarity: float) -> list[int]:
     return out
 
 
+#: Most bits of a set's parity sketch.
+SKETCH_MOST = 1 << 15
+
+
+def parity_sketch(hashes: np.ndarray) -> np.ndarray:
+    """Parity of the set's elements in each of a power of two of buckets, as 64-bit words.
+
+    An element in one of two sets only flips one bit, so sketches differ in no more bits than the sets in
+    elements; a sketch is halved by XOR of its halves.
+    """
+    kinds = np.unique(hashes)
+    bits = min(SKETCH_MOST, max(64, 1 << (2 * len(kinds) - 1).bit_length() if len(kinds) else 64))
+    at = (mix64(kinds ^ np.uint64(0x2545F4914F6CDD1D)) & np.uint64(bits - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=bits) & 1).astype(np.uint8), bitorder="little").view(np.uint64)
+
+
+def close_pairs(words: list[np.ndarray], kinds: np.ndarray, label: np.ndarray, side: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs of different label, across the sides if there are two, that sizes and sketches do not rule out at `similarity`."""
+    least = min(map(len, words))
+    sketch = np.empty((len(words), least), np.uint64)
+    for i, w in enumerate(words):
+        while len(w) > least:
+            w = w[: len(w) // 2] ^ w[len(w) // 2 :]
+        sketch[i] = w
+    left, right = np.flatnonzero(side == side.min()), np.flatnonzero(side == side.max())
+    ratio = (1 - similarity) / (1 + similarity)
+    found: list[tuple[np.ndarray, np.ndarray]] = []
+    for i in left.tolist():
+        js = right[right > i] if side[i] == side.max() else right
+        js = js[label[js] != label[i]]
+        if not len(js):
+            continue
+        room = (kinds[i] + kinds[js]) * ratio + 1e-9
+        js, room = js[np.abs(kinds[js] - kinds[i]) <= room], room[np.abs(kinds[js] - kinds[i]) <= room]
+        gap = np.bitwise_count(sketch[js] ^ sketch[i]).sum(axis=1, dtype=np.int64)
+        js = js[gap <= room]
+        if len(js):
+            found.append((np.full(len(js), i), js))
+    if not found:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+
+
+def _close(similarity: float):
+    """Rows sorted by (part, low, high) to pairs of close_pairs in each such block."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+
+        def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
+            ids, label, kinds, side = (t.column(c).to_numpy() for c in ("doc_id", "label", "kinds", "side"))
+            words = [np.array(w, np.int64).view(np.uint64) for w in t.column("sketch").to_pylist()]
+            i, j = close_pairs(words, kinds.astype(np.int64), label, side, similarity)
+            for k in range(0, len(i), 10000):
+                x, y = i[k : k + 10000], j[k : k + 10000]
+                yield pa.RecordBatch.from_arrays([pa.array(ids[x]), pa.array(ids[y]), pa.array(label[x]), pa.array(label[y])], names=["a", "b", "la", "lb"])
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            keys = np.stack([b.column(b.schema.get_field_index(c)).to_numpy().astype(np.int64) for c in ("part", "low", "high")], axis=1)
+            if held:
+                last = held[-1]
+                end = [last.column(last.schema.get_field_index(c))[last.num_rows - 1].as_py() for c in ("part", "low", "high")]
+                if end != keys[0].tolist():
+                    yield from pairs(pa.Table.from_batches(held))
+                    held = []
+            starts = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1).tolist(), b.num_rows]
+            for s, e in zip(starts[:-1], starts[1:], strict=True):
+                held.append(b.slice(s, e - s))
+                if e < b.num_rows:
+                    yield from pairs(pa.Table.from_batches(held))
+                    held = []
+        if held:
+            yield from pairs(pa.Table.from_batches(held))
+
+    return run
+
+
 def _parts(shingle: int, similarity: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             ids = b.column(0).to_pylist()
             flat, off = text_buffer(b.column(1))
             raw = flat.tobytes()
-            prints, lists = [], []
+            prints, lists, kinds, sketches = [], [], [], []
             for d in range(len(ids)):
                 h = shingle_hashes(raw[off[d] : off[d + 1]], shingle)
                 prints.append(_majority(h) if len(h) else 0)
                 lists.append(signed(np.array(part_prints(h, similarity), np.uint64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(signed(np.array(prints, np.uint64))), pa.array(lists, pa.list_(pa.int64()))], names=["doc_id", "fp", "parts"])
+                kinds.append(len(np.unique(h)))
+                sketches.append(signed(parity_sketch(h)))
+            arrays = [b.column(0), pa.array(signed(np.array(prints, np.uint64))), pa.array(lists, pa.list_(pa.int64())), pa.array(kinds, pa.int64()), pa.array(sketches, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "fp", "parts", "kinds", "sketch"])
 
     return run
 
@@ -241,41 +323,56 @@ def _sets(shingle: int):
     return run
 
 
-def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", small_group: int = 16) -> DataFrame:
+def _verified(texts: DataFrame, asked: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """The rows of asked (a, b and others) whose documents' shingle sets have the similarity."""
+    involved = asked.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    sets = cut(texts.join(involved, "doc_id", "left_semi").mapInArrow(_sets(shingle), "doc_id long, shingles array<long>"))
+    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"))
+    common = F.size(F.array_intersect("x", "y"))
+    alike = common >= F.lit(similarity) * (F.size("x") + F.size("y") - common)
+    return asked.join(left, "a").join(right, "b").where(alike).select(*asked.columns)
+
+
+def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", small_group: int = 16, block: int = 512) -> DataFrame:
     """doc_id, component_id: documents whose sets of word shingles have Jaccard similarity of `similarity` or more are linked.
 
-    Candidates are documents whose SimHash fingerprints differ in at most 2 bits (Golay keys) or
-    that share a part fingerprint; every candidate is verified on the whole shingle sets. A group of up to
-    small_group documents with one part is paired off; in a larger one each document meets the smallest and
-    its neighbours by fingerprint and by id, and since a pair meets in several of its parts and through
-    common partners, groups of copies still join.
+    Every pair at the similarity shares a part fingerprint (part_prints), and every candidate is verified on the
+    whole shingle sets, so the components are those of brute force. A group of up to small_group documents with
+    one part is paired off. In a larger one each document first meets the smallest and its neighbour by id,
+    and documents whose SimHash fingerprints differ in at most 2 bits (Golay keys) meet; then all pairs that these links
+    left in different components are compared by sizes and parity sketches, in blocks of about `block` documents
+    against each other, and what the sketches do not rule out is verified.
     """
     ship(docs.sparkSession)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id IS NOT NULL")
-    prints = cut(texts.mapInArrow(_parts(shingle, similarity), "doc_id long, fp long, parts array<long>"))
-    rows = prints.select("doc_id", "fp", F.explode(F.array_distinct("parts")).alias("part"))
-    sizes = rows.groupBy("part").agg(F.count("*").alias("n"), F.min("doc_id").alias("low")).where("n > 1")
-    shared = cut(rows.join(sizes, "part"))
+    prints = cut(texts.mapInArrow(_parts(shingle, similarity), "doc_id long, fp long, parts array<long>, kinds long, sketch array<long>"))
+    rows = prints.select("doc_id", F.explode(F.array_distinct("parts")).alias("part"))
+    shared = cut(rows.withColumn("n", F.count("*").over(Window.partitionBy("part"))).where("n > 1"))
     few = shared.where(F.col("n") <= small_group).groupBy("part").agg(F.collect_list("doc_id").alias("m"))
     pairs = few.select(F.explode(F.expr("flatten(transform(m, x -> transform(filter(m, y -> y > x), y -> struct(x AS a, y AS b))))")).alias("e")).select("e.a", "e.b")
     many = shared.where(F.col("n") > small_group)
-    by_fp, by_id = Window.partitionBy("part").orderBy("fp", "doc_id"), Window.partitionBy("part").orderBy("doc_id")
-    beside = many.select(F.col("low").alias("a"), F.col("doc_id").alias("b"), F.lag("doc_id").over(by_fp).alias("c"), F.lag("doc_id").over(by_id).alias("d"))
-    beside = beside.select("b", F.explode(F.array("a", "c", "d")).alias("a")).where("a IS NOT NULL").select("a", "b")
+    lows = many.groupBy("part").agg(F.min("doc_id").alias("a"))
+    beside = many.join(lows, "part").select("a", F.col("doc_id").alias("b"))
+    next_to = many.select(F.lag("doc_id").over(Window.partitionBy("part").orderBy("doc_id")).alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL")
     nodes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("node")))
     same = prints.join(nodes, "fp").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
-    asked = pairs.union(beside).union(same).union(near_links(nodes)).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    asked = cut(asked)
-    involved = asked.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = cut(texts.join(involved, "doc_id", "left_semi").mapInArrow(_sets(shingle), "doc_id long, shingles array<long>"))
-    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y"))
-    both = asked.join(left, "a").join(right, "b")
-    common = F.size(F.array_intersect("x", "y"))
-    alike = common >= F.lit(similarity) * (F.size("x") + F.size("y") - common)
-    links = both.where(alike).select("a", "b")
-    comp = min_components(links)
-    return prints.select("doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("component", "doc_id").alias("component_id"))
+    asked = pairs.union(beside).union(next_to).union(same).union(near_links(nodes)).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    comp = cut(min_components(_verified(texts, cut(asked), shingle, similarity).select("a", "b")))
+    labels = comp.select(F.col("node").alias("doc_id"), F.col("component").alias("found"))
+    hot = many.join(labels, "doc_id", "left").select("part", "doc_id", "n", F.coalesce("found", "doc_id").alias("label"))
+    split = hot.groupBy("part").agg(F.min("label").alias("l"), F.max("label").alias("h")).where("l < h").select("part")
+    sketched = hot.join(split, "part").join(prints.select("doc_id", "kinds", "sketch"), "doc_id")
+    blocks = F.ceil(F.col("n") / block).cast("int")
+    dealt = sketched.withColumn("side", F.pmod(F.xxhash64("doc_id", F.lit(3)), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    dealt = dealt.select("part", F.least("side", "other").alias("low"), F.greatest("side", "other").alias("high"), "side", "doc_id", "label", "kinds", "sketch")
+    close = dealt.repartition("part", "low", "high").sortWithinPartitions("part", "low", "high").mapInArrow(_close(similarity), "a long, b long, la long, lb long")
+    close = cut(close.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "la", "lb").dropDuplicates(["a", "b"]))
+    found = prints.select("doc_id").join(labels, "doc_id", "left").select("doc_id", F.coalesce("found", "doc_id").alias("component_id"))
+    if close.isEmpty():
+        return found
+    merged = min_components(_verified(texts, close, shingle, similarity).select(F.col("la").alias("a"), F.col("lb").alias("b")))
+    return found.join(merged.withColumnRenamed("node", "component_id"), "component_id", "left").select("doc_id", F.coalesce("component", "component_id").alias("component_id"))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:

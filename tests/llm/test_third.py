@@ -154,6 +154,43 @@ def test_parts_are_lossless():
                     assert set(simhash.part_prints(x, 0.8)) & set(simhash.part_prints(y, 0.8)), (n, gone, new)
 
 
+def test_large_family(spark):
+    """A template family of some thousand documents at 0.6 to 0.8 of each other: the components of brute force."""
+    rng = random.Random(11)
+    base = [f"w{i}" for i in range(100)]
+    texts = {}
+    for i in range(2500):
+        w = list(base)
+        for k in rng.sample(range(100), 2):
+            w[k] = f"x{rng.randrange(10**9)}"
+        texts[rng.randrange(10**7)] = " ".join(w)
+        if i % 25 == 0:
+            w[rng.randrange(3, 97)] = f"y{i}"
+            texts[rng.randrange(10**7)] = " ".join(w)
+    ids = sorted(texts)
+    sets = [{tuple(w[k : k + 5]) for k in range(len(w) - 4)} for w in (texts[i].split() for i in ids)]
+    seen = {}
+    for s in sets:
+        for g in s:
+            seen[g] = seen.get(g, 0) + 1
+    column = {g: k for k, g in enumerate(g for g, c in seen.items() if c > 1)}
+    m = np.zeros((len(ids), len(column)), np.float32)
+    for r, s in enumerate(sets):
+        m[r, [column[g] for g in s if g in column]] = 1
+    size = np.array([len(s) for s in sets], np.float32)
+    both = m @ m.T
+    near = both >= 0.8 * (size[:, None] + size[None, :] - both) - 1e-3
+    want = np.arange(len(ids))
+    while True:
+        low = np.where(near, want[None, :], len(ids)).min(axis=1)
+        if (low == want).all():
+            break
+        want = low
+    assert 50 < len(set(want.tolist())) < len(ids)
+    got = {r.doc_id: r.component_id for r in simhash.similar_components(docs(spark, [(i, t, None) for i, t in texts.items()]), block=300).collect()}
+    assert got == {i: ids[w] for i, w in zip(ids, want.tolist(), strict=True)}
+
+
 def test_mixed_documents(spark):
     rng = random.Random(3)
     rows = [(i, " ".join(f"w{i}" for _ in range(rng.randint(0, 40))) + "\n", rng.choice(["a", "b", None])) for i in range(80)] + [(None, "x y", None), (500, None, "a")]
