@@ -302,8 +302,8 @@ def kde_test(a: np.ndarray, b: np.ndarray, permutations: int = 200, seed: int =
 
 
 def kde_table(points: DataFrame, sample: DataFrame, features: Sequence[str], bandwidth: Sequence[float], id_col: str = "id") -> DataFrame:
-    """(id, density) of points under a sample of bounded size, by a nested-loop join and a sum."""
-    s = sample.select(*(F.col(f).cast("double").alias(f"s{i}") for i, f in enumerate(features))).limit(QUADRATIC_CAP)
+    """(id, density) of points under all rows of a sample, by a nested-loop join and partial sums in each block of rows."""
+    s = sample.select(*(F.col(f).cast("double").alias(f"s{i}") for i, f in enumerate(features)))
     z = sum((((F.col(f) - F.col(f"s{i}")) / h) * ((F.col(f) - F.col(f"s{i}")) / h) for i, (f, h) in enumerate(zip(features, bandwidth, strict=True))), F.lit(0.0))
     const = float(np.prod(bandwidth)) * (2 * math.pi) ** (len(features) / 2)
-    return points.crossJoin(F.broadcast(s)).groupBy(id_col).agg((F.avg(F.exp(-0.5 * z)) / const).alias("density"))
+    return points.crossJoin(s).groupBy(id_col).agg((F.avg(F.exp(-0.5 * z)) / const).alias("density"))

@@ -177,3 +177,15 @@ def test_catalogue(spark, sf, duck, name):
     assert sorted(names) == cols
     want = sorted(str([plain(r[names.index(c)]) for c in cols]) for r in duck.fetchall())
     assert got == want
+
+
+def test_kde_table_takes_all_rows(spark):
+    """A sample beyond the cap of the quadratic kernels counts in full."""
+    n = baselines.QUADRATIC_CAP + 10_000
+    sample = spark.range(n).select((F.col("id") / n).alias("x"))
+    at = spark.createDataFrame([(0, 0.1), (1, 0.9)], "id long, x double")
+    got = {r.id: r.density for r in baselines.kde_table(at, sample, ["x"], [0.2]).collect()}
+    x = np.arange(n) / n
+    for i, p in ((0, 0.1), (1, 0.9)):
+        want = np.exp(-0.5 * ((p - x) / 0.2) ** 2).mean() / (0.2 * np.sqrt(2 * np.pi))
+        assert abs(got[i] - want) < 1e-9
