@@ -8,9 +8,11 @@ depends on the chunk size and its longest single document, not on the table.
 from __future__ import annotations
 
 import ctypes
+import hashlib
+import re
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -42,34 +44,61 @@ _lean()
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder for cut lineage: the session's own, or a local one where none is set (tests)."""
+    """The shared folder for cut lineage: the session's own, or a local one where none is set and all runs in one process (tests)."""
     sc = spark.sparkContext
     found = spark.conf.get("spark.checkpoint.dir", None)
     held = sc._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return found or held.get()
     if not found:
+        if not re.fullmatch(r"local(\[[^,]*(,\s*\d+)?\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = tempfile.mkdtemp(prefix="driftlab-checkpoint-")
     sc.setCheckpointDir(found)
     return found
 
 
+#: Folders that cut() has written and nothing has deleted yet, in order.
+_CUTS: list[str] = []
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write df to the shared folder as Parquet and read it back: no lineage behind it, and column pruning ahead."""
     spark = df.sparkSession
     path = f"{checkpoint_dir(spark)}/driftlab-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    _CUTS.append(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._driftlab_cut = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(folder, True)
+    if path in _CUTS:
+        _CUTS.remove(path)
 
 
 def drop_cut(df: DataFrame) -> None:
     """Delete what cut() wrote for df; call it when no later step reads it again."""
-    spark = df.sparkSession
-    jvm = spark.sparkContext._jvm
-    for f in df.inputFiles()[:1]:
-        folder = jvm.org.apache.hadoop.fs.Path(f).getParent()
-        if "/driftlab-" in str(folder.toString()):
-            folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(folder, True)
+    path = getattr(df, "_driftlab_cut", None)
+    if path:
+        _delete(df.sparkSession, path)
+
+
+def clear_cuts(spark: SparkSession, since: int = 0, keep: Sequence[DataFrame] = ()) -> None:
+    """Delete what cut() has written from number `since` (of cuts_made) on, but for `keep`.
+
+    An operator's result may still read its cuts: call this once the result has been written.
+    """
+    held = {getattr(df, "_driftlab_cut", None) for df in keep}
+    for path in [p for p in _CUTS[since:] if p not in held]:
+        _delete(spark, path)
+
+
+def cuts_made() -> int:
+    return len(_CUTS)
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -137,7 +166,10 @@ def powers(lane: int, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 class SpanHash:
-    """Position-free 64-bit hashes of any spans of a sequence of 64-bit values."""
+    """Position-free 64-bit hashes of any spans of a sequence of 64-bit values.
+
+    Fast, for choosing candidates: long spans of equal hash can be constructed, so nothing is decided by it alone.
+    """
 
     def __init__(self, values: np.ndarray, lane: int):
         up, self.down = powers(lane, len(values) + 1)
@@ -155,6 +187,14 @@ def byte_hash(flat: np.ndarray, lane: int) -> SpanHash:
     return SpanHash(_LANES[lane][1][flat], lane)
 
 
+def token_names(flat: np.ndarray, start: np.ndarray, end: np.ndarray, long: int = 64) -> np.ndarray:
+    """64-bit names of byte spans that stand for their content: spans of over `long` bytes by a BLAKE2 digest."""
+    out = byte_hash(flat, 1).of(start, end)
+    for i in np.flatnonzero(end - start > long).tolist():
+        out[i] = int.from_bytes(hashlib.blake2b(flat[start[i] : end[i]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
 def word_spans(flat: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start, end (bytes) and document number of each word, a word being a run without the six ASCII blanks."""
     solid = ~_SPACE[flat]

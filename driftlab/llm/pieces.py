@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_hash, chunks, mix64, ship, signed, text_buffer
+from .common import byte_hash, chunks, mix64, ship, signed, text_buffer, token_names
 
 _U = np.uint64
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -327,7 +327,7 @@ class Search:
         self.doc = np.searchsorted(self.offsets, self.begin, side="right") - 1
         self.first = np.searchsorted(self.doc, np.arange(n + 1))
         self.n = n
-        self.root = lattices.starts(self.flat, self.begin, self.end, byte_hash(self.flat, 1).of(self.begin, self.end)) if len(self.begin) else np.zeros(0, np.int64)
+        self.root = lattices.starts(self.flat, self.begin, self.end, token_names(self.flat, self.begin, self.end)) if len(self.begin) else np.zeros(0, np.int64)
 
     def draw(self, token: np.ndarray, node: np.ndarray, turn: int) -> tuple[np.ndarray, np.ndarray]:
         """Samples every token from its node on: (token, arc) in order of token, then place."""

@@ -12,16 +12,20 @@ window is always settled, so every window has a key.
 
 1. Every document's keys; a key is shared if two documents have it. A task folds its own chunk
    first, so a passage that a third of all documents hold leaves a chunk once.
-2. Documents with shared keys make 128-bit fingerprints of just the windows filed under them (from
-   two independent 64-bit sums); of the documents of a chunk that have a window, all but the one
+2. Documents with shared keys make 128-bit BLAKE2 digests of the words of just the windows filed under them;
+   of the documents of a chunk that have a window, all but the one
    of smallest id are settled at once, and one row per window and chunk is exchanged to find the smallest id overall.
 3. Covered words are cut out of the text.
 
+Names and keys only choose the windows to look at: a collision there costs work. What is removed is
+decided by the digests of the words themselves, for which no two inputs of equal digest can be constructed.
+
 Copies of a whole text are represented by their smallest id in step 2; the others lose all words
 that any window covers.
 
 Defined cases: null text has no words; texts shorter than a window are left whole; a null id counts
-as larger than all others (two of them in the order of a hash of their texts); an empty table gives an empty result; rows
+as larger than all others (two of them in the order of a hash of their texts, equal texts as one document); ids of 2^62 and
+above raise an error; an empty table gives an empty result; rows
 that repeat an id are one document for the comparison, and each row is cut.
 """
 
@@ -144,8 +148,18 @@ class WordChunk:
         self.first = np.searchsorted(self.doc, np.arange(len(offsets)))
         self.flat = flat
 
-    def second(self) -> np.ndarray:
-        return byte_hash(self.flat, 2).of(self.start, self.end)
+    def digests(self, first: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+        """128-bit digests, as two longs, of the `window` words from each word of `first` on, joined by one blank."""
+        length = self.end - self.start
+        stop = np.cumsum(length + 1)
+        joined = np.full(int(stop[-1]) if len(stop) else 0, 0x20, np.uint8)
+        begin = stop - length - 1
+        at = np.arange(int(length.sum())) - np.repeat(np.cumsum(length) - length, length)
+        joined[np.repeat(begin, length) + at] = self.flat[np.repeat(self.start, length) + at]
+        raw = memoryview(joined.tobytes())
+        spans = zip(begin[first].tolist(), (stop[first + window - 1] - 1).tolist(), strict=True)
+        out = np.frombuffer(b"".join([hashlib.blake2b(raw[s:e], digest_size=16).digest() for s, e in spans]), np.int64).reshape(-1, 2)
+        return out[:, 0], out[:, 1]
 
 
 #: Ids are below this; from here on stand the numbers given to rows without an id.
@@ -153,9 +167,10 @@ NO_ID = 1 << 62
 
 
 def stand_in(id_col: str, text_col: str) -> Column:
-    """The id, or for a null id a number from NO_ID on that hashes the text."""
-    own = F.lit(NO_ID) + F.pmod(F.xxhash64(F.col(text_col).cast("string")), F.lit(NO_ID))
-    return F.coalesce(F.col(id_col).cast("long"), own).alias("doc_id")
+    """The id, or for a null id a number from NO_ID on that hashes the text; an id of its own from NO_ID on is an error."""
+    given = F.col(id_col).cast("long")
+    own = F.lit(NO_ID) + F.pmod(F.conv(F.substring(F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256), 1, 15), 16, 10).cast("long"), F.lit(NO_ID))
+    return F.when(given >= NO_ID, F.raise_error(F.lit("identifiers must be below 2^62")).cast("long")).otherwise(F.coalesce(given, own)).alias("doc_id")
 
 
 def _id_array(column: pa.Array) -> np.ndarray:
@@ -229,8 +244,7 @@ def _window_rows(window: int):
                 starts, d = starts[hit], d[hit]
                 if not len(starts):
                     continue
-                f1 = SpanHash(c.name, 1).of(starts, starts + window)
-                f2 = SpanHash(c.second(), 2).of(starts, starts + window)
+                f1, f2 = c.digests(starts, window)
                 who = ids[i:j][d]
                 place = (starts - c.first[d]).astype(np.int32)
                 order = np.lexsort((place, who, f2, f1))
@@ -250,7 +264,7 @@ def _window_rows(window: int):
                         continue
                     first = at[head]
                     places = pa.ListArray.from_arrays(pa.array(np.append(head, len(at)).astype(np.int32)), pa.array(place[at]))
-                    tag = (who[first], np.zeros(len(first), np.int64)) if settled else (signed(f1[first]), signed(f2[first]))
+                    tag = (who[first], np.zeros(len(first), np.int64)) if settled else (f1[first], f2[first])
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(first), settled)), pa.array(tag[0]), pa.array(tag[1]), pa.array(who[first]), places], names=["settled", "f1", "f2", "doc_id", "places"])
 
     return run

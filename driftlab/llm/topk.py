@@ -1,22 +1,25 @@
 """Exact top-k inner-product search by distributed histogram selection.
 
-Rows are packed into blocks of vectors (one Arrow batch each). Query blocks are copied to a
-number of lanes, candidate blocks go to one lane each for every query block, and a block pair is
-scored as one matrix product, so no task sees more than two blocks and no row pair is ever
-materialised. Scores are integers. Each round counts, for every query, the scores in `bins`
-equal slices of the interval that is known to hold its k-th best; the summed histograms pick
-the slice for the next round, until the slice is one score wide. A last pass takes the scores above
-the k-th value, and of those equal to it the smallest identifiers, at most k per block, which is
-exact because ties go to the smaller identifier.
+Vectors are floored in generated code and written once; the table's row numbers tell rows that share an identifier apart.
+Query rows are dealt to parts of a bounded number of bytes, candidate rows to lanes of a bounded number of
+rows; a cell is one part and one lane. Its task holds the part's queries and streams the lane's candidates past them in Arrow
+batches, scored as matrix products, so no row pair is ever materialised. Of the scores of a cell only those go on that
+are among the k best of their query there (ties by identifier, then row): each of the others has k better ones and is in no answer.
+They are written, and no vector is moved or scored a second time.
+
+Scores are whole numbers. Each round counts, for every query, the scores of all cells in `bins` equal slices of the
+interval that holds its k-th best (partial counts before the shuffle); the summed histograms pick the slice for the next round, until the
+slice is one score wide. The scores from the k-th value on are kept, and of those equal to it the smallest identifiers.
 
 Defined cases: vectors that are null, or hold a null or non-finite component, take no part; a
-query is not its own candidate (rows of the same identifier are not candidates of each other);
+query row is not its own candidate, another row of the same identifier is; every query row has an answer of its own;
 fewer than k candidates give all of them; vectors of different lengths are compared only within
-a length; an empty table gives an empty result.
+a length; rows without an identifier take no part; an empty table gives an empty result. Scores are exact, or, if they could reach 2^62, an error.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,37 +27,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, ship
-
-#: Scores saturate here; products of that size need components beyond 2^28.
-_MOST = 1 << 60
-_BLOCK = "dim int, ids binary, body binary"
-
+from .common import cut, drop_cut, ship
 
-def _pack(scale: float, rows_per_block: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            ids = b.column(0).to_numpy(zero_copy_only=False)
-            lists = b.column(1)
-            lists = lists.cast(pa.large_list(pa.float64()))
-            off = lists.offsets.to_numpy()
-            flat = lists.values.to_numpy(zero_copy_only=False)
-            lengths = np.diff(off)
-            for dim in np.unique(lengths):
-                rows = np.flatnonzero(lengths == dim)
-                for i in range(0, len(rows), rows_per_block):
-                    part = rows[i : i + rows_per_block]
-                    m = flat[off[part][:, None] + np.arange(dim)] if dim else np.zeros((len(part), 0))
-                    yield _row(int(dim), ids[part], np.floor(scale * m))
-
-    def _row(dim: int, ids: np.ndarray, m: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([dim], pa.int32()), pa.array([ids.astype(np.int64).tobytes()]), pa.array([m.astype(np.float64).tobytes()])], names=["dim", "ids", "body"])
-
-    return run
-
-
-def _vectors(dim: int, body: bytes) -> np.ndarray:
-    return np.frombuffer(body, np.float64).reshape(-1, dim) if dim else np.zeros((0, 0))
+#: Scores are below this.
+_MOST = 1 << 62
+#: Scores held at once by a task.
+_GRID = 1 << 21
 
 
 def _scores(q: np.ndarray, c: np.ndarray) -> np.ndarray:
@@ -62,89 +40,93 @@ def _scores(q: np.ndarray, c: np.ndarray) -> np.ndarray:
     top = (np.abs(q).max(initial=0) * np.abs(c).max(initial=0)) * max(1, q.shape[1])
     if top < 2**53:
         return (q @ c.T).astype(np.int64)
-    exact = np.array([[int(x) for x in r] for r in q], object) @ np.array([[int(x) for x in r] for r in c], object).T
-    return np.clip(exact, -_MOST, _MOST).astype(np.int64)
-
-
-def _pairs(batch: pa.RecordBatch):
-    cols = {n: batch.column(n) for n in batch.schema.names}
-    for r in range(batch.num_rows):
-        dim = cols["dim"][r].as_py()
-        qi = np.frombuffer(cols["q_ids"][r].as_py(), np.int64)
-        ci = np.frombuffer(cols["ids"][r].as_py(), np.int64)
-        q = _vectors(dim, cols["q_body"][r].as_py()) if dim else np.zeros((len(qi), 0))
-        c = _vectors(dim, cols["body"][r].as_py()) if dim else np.zeros((len(ci), 0))
-        low = np.frombuffer(cols["q_low"][r].as_py(), np.int64)
-        width = np.frombuffer(cols["q_width"][r].as_py(), np.int64)
-        s = _scores(q, c)
-        own = qi[:, None] == ci[None, :]
-        yield qi, ci, s, own, low, width
-
-
-def _count(bins: int, k: int):
-    """Per block pair: for each query, how many scores lie in each slice of its interval.
-
-    Only slices with fewer than k scores above them in the pair are put out: the k-th best of all lies in none of the others.
-    """
+    return (np.array([[int(x) for x in r] for r in q], object) @ np.array([[int(x) for x in r] for r in c], object).T).astype(np.int64)
+
+
+class Best:
+    """The k best candidates of each of a number of queries, among those met so far."""
+
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, vectors: np.ndarray, k: int):
+        self.ids, self.rows, self.vectors, self.k = ids, rows, vectors, k
+        self.least = np.full(len(ids), np.iinfo(np.int64).min)
+        none = np.zeros(0, np.int64)
+        self.held: tuple = (none, none, none, none)  # query, score, identifier, row
+        self.open: list[tuple] = []
+        self.n_open = 0
+
+    def meet(self, ids: np.ndarray, rows: np.ndarray, vectors: np.ndarray) -> None:
+        across = min(len(ids), 4096)
+        step = max(1, _GRID // max(1, across))
+        for j in range(0, len(ids), across):
+            them = slice(j, j + across)
+            for i in range(0, len(self.ids), step):
+                us = slice(i, i + step)
+                s = _scores(self.vectors[us], vectors[them])
+                q, c = np.nonzero((s >= self.least[us, None]) & (self.rows[us, None] != rows[None, them]))
+                if len(q):
+                    self.open.append((q + i, s[q, c], ids[them][c], rows[them][c]))
+                    self.n_open += len(q)
+                if self.n_open > _GRID:
+                    self.fold()
+
+    def fold(self) -> None:
+        q, s, ids, rows = (np.concatenate(x) for x in zip(self.held, *self.open, strict=True))
+        order = np.lexsort((rows, ids, -s, q))
+        place = np.arange(len(q)) - np.searchsorted(q[order], q[order], side="left")
+        order, place = order[place < self.k], place[place < self.k]
+        self.held, self.open, self.n_open = (q[order], s[order], ids[order], rows[order]), [], 0
+        last = order[place == self.k - 1]
+        self.least[q[last]] = s[last]
+
+    def batches(self) -> Iterator[pa.RecordBatch]:
+        self.fold()
+        for i in range(0, len(self.held[0]), 1 << 16):
+            q, s, ids, rows = (x[i : i + (1 << 16)] for x in self.held)
+            yield pa.RecordBatch.from_arrays([pa.array(self.ids[q]), pa.array(self.rows[q]), pa.array(ids), pa.array(rows), pa.array(s)], names=["query_id", "query", "vec_id", "row", "score"])
+
+
+def _by_length(lists: pa.Array, keep: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(length, rows, matrix) of the chosen rows of a list column."""
+    lists = lists.cast(pa.large_list(pa.float64()))
+    off, flat = lists.offsets.to_numpy(), lists.values.to_numpy(zero_copy_only=False)
+    length = np.diff(off)[keep]
+    for dim in np.unique(length).tolist():
+        rows = keep[length == dim]
+        yield dim, rows, flat[off[rows][:, None] + np.arange(dim)]
+
+
+def _survivors(k: int):
+    """Rows sorted by cell, its queries first, to each query's k best in the cell."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for qi, _, s, own, low, width in _pairs(b):
-                at = np.floor_divide(s - low[:, None], width[:, None])
-                at = np.clip(at, -1, bins)  # below and above the interval
-                at[own] = -1
-                row = np.broadcast_to(np.arange(len(qi))[:, None], s.shape)
-                seen = at >= 0
-                table = np.bincount(row[seen] * (bins + 1) + at[seen], minlength=len(qi) * (bins + 1))
-                grid = table.reshape(len(qi), bins + 1)
-                above = grid[:, ::-1].cumsum(axis=1)[:, ::-1] - grid
-                hit = np.flatnonzero((table > 0) & (above.ravel() < k))
-                yield pa.RecordBatch.from_arrays([pa.array(qi[hit // (bins + 1)]), pa.array((hit % (bins + 1)).astype(np.int32)), pa.array(table[hit].astype(np.int64))], names=["query_id", "slice", "n"])
-
-    return run
+        at, waiting, best = None, {}, {}
 
+        def done() -> Iterator[pa.RecordBatch]:
+            for found in best.values():
+                yield from found.batches()
 
-def _take(k: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for qi, ci, s, own, low, _ in _pairs(b):
-                good = (s >= low[:, None]) & ~own
-                r, c = np.nonzero(good)
-                order = np.lexsort((ci[c], -s[r, c], r))
-                r, c = r[order], c[order]
-                first = np.searchsorted(r, r, side="left")
-                keep = np.arange(len(r)) - first < k
-                r, c = r[keep], c[keep]
-                yield pa.RecordBatch.from_arrays([pa.array(qi[r]), pa.array(ci[c]), pa.array(s[r, c])], names=["query_id", "vec_id", "score"])
+            cell, side, ids, rows = (b.column(b.schema.get_field_index(n)).to_numpy(zero_copy_only=False) for n in ("cell", "side", "id", "row"))
+            edge = np.flatnonzero((cell[1:] != cell[:-1]) | (side[1:] != side[:-1])) + 1
+            for start, stop in zip([0, *edge.tolist()], [*edge.tolist(), len(cell)], strict=True):
+                if start == stop:
+                    continue
+                if cell[start] != at:
+                    yield from done()
+                    at, waiting, best = cell[start], {}, {}
+                for dim, own, m in _by_length(b.column(b.schema.get_field_index("v")), np.arange(start, stop)):
+                    if side[start] == 0:
+                        waiting.setdefault(dim, []).append((ids[own], rows[own], m))
+                        continue
+                    if dim in waiting:
+                        best[dim] = Best(*(np.concatenate(x) for x in zip(*waiting.pop(dim), strict=True)), k)
+                    if dim in best:
+                        best[dim].meet(ids[own], rows[own], m)
+        yield from done()
 
     return run
 
 
-def _pack_queries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        dims = b.column("dim").to_numpy()
-        for dim in np.unique(dims):
-            rows = np.flatnonzero(dims == dim)
-            get = lambda name: b.column(name).take(pa.array(rows))
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array([int(dim)], pa.int32()),
-                    pa.array([get("query_id").to_numpy(zero_copy_only=False).astype(np.int64).tobytes()]),
-                    pa.array([b"".join(get("vector").to_pylist())]),
-                    pa.array([get("low").to_numpy(zero_copy_only=False).astype(np.int64).tobytes()]),
-                    pa.array([get("width").to_numpy(zero_copy_only=False).astype(np.int64).tobytes()]),
-                ],
-                names=["dim", "q_ids", "q_body", "q_low", "q_width"],
-            )
-
-
-def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        for dim, ids, body in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
-            n, w = len(ids) // 8, 8 * dim
-            yield pa.RecordBatch.from_arrays([pa.array([dim] * n, pa.int32()), pa.array(np.frombuffer(ids, np.int64)), pa.array([body[i * w : i * w + w] for i in range(n)], pa.binary())], names=["dim", "query_id", "vector"])
-
-
 def top_k(
     vectors: DataFrame,
     is_query: Column,
@@ -153,7 +135,8 @@ def top_k(
     vector_col: str = "embedding",
     scale: float = 256.0,
     bins: int = 1024,
-    block_rows: int = 4096,
+    part_bytes: int = 16 << 20,
+    lane_rows: int = 1 << 20,
     lanes: int | None = None,
 ) -> DataFrame:
     """query_id, rank, vec_id, score: the k best candidates of each query row, ties to the smaller id."""
@@ -161,54 +144,46 @@ def top_k(
     ship(spark)
     v = F.col(vector_col)
     finite = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf")))
-    rows = vectors.select(F.col(id_col).cast("long").alias("id"), F.transform(v, lambda x: x.cast("double")).alias(vector_col), is_query.alias("asks")).where(F.col("id").isNotNull() & v.isNotNull() & finite)
-    spread = F.xxhash64("ids")
-    blocks = cut(rows.select("id", vector_col).mapInArrow(_pack(scale, block_rows), _BLOCK))
-    asked = cut(rows.where("asks").select("id", vector_col).mapInArrow(_pack(scale, block_rows), _BLOCK).mapInArrow(_unpack, "dim int, query_id long, vector binary"))
-    # Cauchy-Schwarz: no score lies outside the product of the longest vectors' components
-    bound = blocks.mapInArrow(_largest, "dim int, top double").groupBy("dim").agg(F.least(F.max("top"), F.lit(float(_MOST))).alias("top"))
-    queries = asked.join(bound, "dim").select("dim", "query_id", "vector", (-F.col("top")).cast("long").alias("low"), F.lit(None).cast("long").alias("width"), F.col("top"))
-    top = bound.agg(F.max("top")).first()[0]
-    if top is None:
+    whole = F.transform(v, lambda x: F.floor(F.lit(float(scale)) * x.cast("double")).cast("double"))
+    rows = vectors.where(F.col(id_col).isNotNull() & v.isNotNull() & finite).select(F.col(id_col).cast("long").alias("id"), whole.alias("v"), F.coalesce(is_query, F.lit(False)).alias("asks"))
+    held = cut(rows.withColumn("row", F.monotonically_increasing_id()))
+    # Cauchy-Schwarz: no score lies outside the square of the longest vector
+    square = F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)
+    seen = held.agg(F.count("*").alias("n"), F.max(square).alias("top"), F.sum(F.when(F.col("asks"), 8 * F.size("v") + 32)).alias("bytes")).first()
+    if not seen["bytes"]:
+        drop_cut(held)
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    n_blocks = -(-asked.count() // block_rows) or 1
-    lanes = lanes or max(1, spark.sparkContext.defaultParallelism * 2)
-    copies = blocks.withColumn("lane", F.pmod(spread, F.lit(lanes)).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
-
-    def paired(q: DataFrame) -> DataFrame:
-        parts = q.withColumn("part", F.pmod(F.xxhash64("query_id"), F.lit(n_blocks)).cast("int"))
-        packed = parts.repartition(n_blocks, "part").sortWithinPartitions("part", "query_id").select("part", "dim", "query_id", "vector", "low", "width").mapInArrow(_with_part, "part int, dim int, q_ids binary, q_body binary, q_low binary, q_width binary")
-        laned = packed.withColumn("lane", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))))
-        return copies.join(laned, ["part", "lane", "dim"])
-
-    span = 2 * int(top) + 2
-    width = max(1, -(-span // bins))
-    state = queries.select("dim", "query_id", "vector", "low", F.lit(width).cast("long").alias("width"), F.lit(k).cast("long").alias("need"))
-    while True:
-        counts = paired(state).mapInArrow(_count(bins, k), "query_id long, slice int, n long").groupBy("query_id", "slice").agg(F.sum("n").alias("n"))
-        above = Window.partitionBy("query_id").orderBy(F.desc("slice")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-        found = counts.withColumn("upto", F.sum("n").over(above)).where(F.col("upto") >= k).groupBy("query_id").agg(F.max("slice").alias("slice"))
-        # a query with fewer than k candidates keeps the whole interval
-        state = cut(state.drop("need").join(found, "query_id", "left").select("dim", "query_id", "vector", F.expr("CASE WHEN slice IS NULL THEN low ELSE low + slice * width END").alias("low"), F.lit(max(1, -(-width // bins))).cast("long").alias("width"), F.lit(k).alias("need")))
+    if seen["top"] >= _MOST:
+        raise ValueError("scores may reach 2^62; use a smaller scale")
+    parts = -(-seen["bytes"] // part_bytes)
+    lanes = lanes or max(-(-seen["n"] // lane_rows), -(-2 * spark.sparkContext.defaultParallelism // parts))
+    dealt = lambda df, n, seed: F.pmod(F.xxhash64(df["row"], F.lit(seed)), F.lit(n)).cast("int")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.lit(int(n) - 1)))
+    asked = held.where("asks").withColumn("part", dealt(held, parts, 1)).withColumn("lane", each(lanes)).withColumn("side", F.lit(0))
+    given = held.withColumn("lane", dealt(held, lanes, 2)).withColumn("part", each(parts)).withColumn("side", F.lit(1))
+    cells = asked.unionByName(given).select((F.col("part") * F.lit(int(lanes)) + F.col("lane")).alias("cell"), "side", "id", "row", "v")
+    met = cells.repartition(int(parts * lanes), "cell").sortWithinPartitions("cell", "side").mapInArrow(_survivors(k), "query_id long, query long, vec_id long, row long, score long")
+    scored = cut(met)
+    drop_cut(held)
+
+    state = cut(scored.groupBy("query").agg(F.min("score").alias("low"), F.max("score").alias("high"), F.count("*").alias("n")))
+    span = state.agg(F.max(F.col("high") - F.col("low") + 1)).first()[0]
+    width = 1 if span is None else max(1, math.ceil(span / bins))
+    while span is not None:
+        at = F.least(F.expr(f"(score - low) div {width}L"), F.lit(bins)).cast("int")
+        counts = scored.join(state, "query").where(F.col("score") >= F.col("low")).groupBy("query", at.alias("slice")).agg(F.count("*").alias("n"))
+        above = Window.partitionBy("query").orderBy(F.desc("slice")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+        found = counts.withColumn("upto", F.sum("n").over(above)).where(F.col("upto") >= k).groupBy("query").agg(F.max("slice").alias("slice"))
+        # a query with fewer than k candidates keeps them all
+        after = cut(state.select("query", "low").join(found, "query", "left").select("query", (F.col("low") + F.coalesce("slice", F.lit(0)).cast("long") * F.lit(width)).alias("low")))
+        drop_cut(state)
+        state = after
         if width == 1:
             break
-        width = max(1, -(-width // bins))
-    best = paired(state).mapInArrow(_take(k), "query_id long, vec_id long, score long")
-    place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return best.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-
-
-def _with_part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        parts = b.column("part").to_numpy()
-        for p in np.unique(parts):
-            inner = b.take(pa.array(np.flatnonzero(parts == p)))
-            for packed in _pack_queries([inner]):
-                yield pa.RecordBatch.from_arrays([pa.array([int(p)], pa.int32()), *packed.columns], names=["part", *packed.schema.names])
-
-
-def _largest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        for dim, body in zip(b.column("dim").to_pylist(), b.column("body").to_pylist(), strict=True):
-            m = _vectors(dim, body)
-            yield pa.RecordBatch.from_arrays([pa.array([dim], pa.int32()), pa.array([float(np.ceil((m * m).sum(axis=1).max(initial=0.0))) + 1])], names=["dim", "top"])
+        width = max(1, math.ceil(width / bins))
+    best = scored.join(state.select("query", "low"), "query").where(F.col("score") >= F.col("low"))
+    place = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "vec_id", "row"))
+    out = cut(best.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
+    drop_cut(scored)
+    drop_cut(state)
+    return out

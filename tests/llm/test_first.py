@@ -126,7 +126,7 @@ def test_topk_brute(spark):
     rows = [(i, m[i].tolist()) for i in range(300)] + [(1000, None), (1050, [float("nan")] * 8), (1100, [None] * 8), (1150, [1.0] * 3)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
     got = {}
-    for r in topk.top_k(df, F.col("vec_id") % 50 == 0, 5, bins=16, block_rows=64).collect():
+    for r in topk.top_k(df, F.col("vec_id") % 50 == 0, 5, bins=16, part_bytes=300, lanes=3).collect():
         got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
     e = np.floor(256 * m.astype(float)).astype(int)
     for q in range(0, 300, 50):
@@ -138,6 +138,29 @@ def test_topk_brute(spark):
     assert topk.top_k(few.limit(0), F.col("vec_id") % 50 == 0).count() == 0
 
 
+def test_topk_rows_not_identifiers(spark):
+    rows = [(0, [1.0, 2.0]), (0, [3.0, 1.0]), (0, [3.0, 1.0])] + [(i, [float(i % 4), float(i % 3)]) for i in range(1, 9)] + [(2, [9.0, 9.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    want = []
+    for q, (i, x) in enumerate(rows):
+        if i % 50 == 0:
+            found = sorted((-int(a[0] * x[0] + a[1] * x[1]), j) for c, (j, a) in enumerate(rows) if c != q)[:5]
+            want += [(0, k + 1, j, -s) for k, (s, j) in enumerate(found)]
+    for lanes in (1, 4):
+        got = topk.top_k(df, F.col("vec_id") % 50 == 0, 5, scale=1.0, bins=4, lanes=lanes, part_bytes=60).collect()
+        assert sorted(map(tuple, got)) == sorted(want)
+
+
+def test_topk_large_components(spark):
+    top = 2.0**30
+    rows = [(0, [top, 1.0]), (1, [top, 3.0]), (2, [top, 4.0]), (3, [-top, 2.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = topk.top_k(df, F.col("vec_id") == 0, 3, scale=1.0).collect()
+    assert [(r.vec_id, r.score) for r in sorted(got, key=lambda r: r.rank)] == [(2, 2**60 + 4), (1, 2**60 + 3), (3, 2 - 2**60)]
+    with pytest.raises(ValueError):
+        topk.top_k(df, F.col("vec_id") == 0, 3, scale=4.0)
+
+
 def test_trie_against_dict():
     rng = random.Random(2)
     trie, want = exact_dedup.PatriciaTrie(max), {}

@@ -168,6 +168,32 @@ def test_cut_repeated_bytes(spark, monkeypatch):
     assert sorted((str(r.doc_id), r.n_bytes, r.n_removed) for r in got) == [("3", 419, 0), ("None", 399, 0), ("None", 500, 500)]
 
 
+def thue_morse(n, a, b):
+    return bytes(b if i.bit_count() % 2 else a for i in range(n)).decode()
+
+
+def test_constructed_collisions_of_hashes(spark):
+    """Texts whose polynomial hashes modulo 2^64 agree are still told apart."""
+    a, b = thue_morse(4096, 97, 98), thue_morse(4096, 98, 97)
+    head, tail = " ".join(f"w{i}" for i in range(30)), " ".join(f"w{i}" for i in range(30, 60))
+    got = recompression.cut_repeats(docs(spark, [(1, f"{head} {a} {tail}"), (2, f"{head} {b} {tail}")])).collect()
+    assert [r.n_removed for r in got] == [0, 0] and [r.n_words for r in got] == [61, 61]
+    rng = random.Random(3)
+    shared = "".join(rng.choice("abcdefghijk") for _ in range(600))
+    rows = [(1, shared + a), (2, shared + b)]
+    got = suffix_dedup.cut_repeated_bytes(docs(spark, rows)).collect()
+    assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got} == brute_bytes(rows, 400)
+    assert all(r.n_removed >= 4000 for r in got)
+
+
+def test_ids_out_of_range(spark):
+    import pytest
+
+    for cutting in (recompression.cut_repeats, suffix_dedup.cut_repeated_bytes):
+        with pytest.raises(Exception, match="2\\^62"):
+            cutting(docs(spark, [(1 << 62, "a b"), (1, "c")])).collect()
+
+
 def test_large_class():
     rng = random.Random(7)
     w, mid = 40, b"m" * 21
