@@ -3,17 +3,20 @@
 A source's target in words is turned into a whole number of blocks of `block_words` words: all
 sources compete for the blocks of the mix by highest quotients target / (2 * seats + 1). Each
 source's quota is then apportioned, by the same rule, among its shards (hash classes of its
-documents of about `shard_words` words, so a hot source becomes many shards). In a shard the
-documents lie end to end in a seeded order; its tape is cut into blocks, every block is taken
-quota // blocks times and the first quota % blocks blocks of the seeded order once more. What a
+documents, so a hot source becomes many shards). In a shard the documents lie end to end in a seeded order, on a tape
+that is closed to a ring: every block has the same number of words, a block over the end going on at the
+beginning. So a shard's quota is a number of whole passes over the ring and the words of the blocks left, from the seeded beginning
+on. What whole blocks miss of a source's target (less than a few blocks) is added to, or taken from, its
+largest shards as a short block, so a source gives its rounded target exactly, however small it is. What a
 document gives follows from its place on the tape, so no block is ever materialised.
 
-Sources and shards are the only things on the driver: (name, words) rows whose number is
-checked against `max_sources` and `max_shards`.
+Sources and shards are the only things on the driver: (name, words) rows. A source has one shard for
+every `shard_words` words, or, where that makes more than `max_shards` shards in all, for every max_shards-th part of all
+words; so the driver holds at most max_shards rows besides one for each source, whose number is checked against `max_sources`.
 
 Defined cases: null text has size 0 and gives nothing; a null source is a source of its own,
 ordered last; a source without words has target 0; an empty table gives an empty result;
-repeated rows each have their place on the tape.
+repeated rows each have their place on the tape; rows without an id are spread by their texts.
 """
 
 from __future__ import annotations
@@ -80,15 +83,31 @@ def sainte_lague(claims: Sequence[float], seats: int, most: Sequence[int] | None
     return got
 
 
+def in_words(want: int, block_words: int, room: Sequence[int], quota: Sequence[int]) -> list[int]:
+    """Words of each shard: its quota of blocks, then a short block that brings the sum to `want`, to shards with room or from those with most."""
+    out = [q * block_words for q in quota]
+    gap = want - sum(out)
+    for k in sorted(range(len(out)), key=lambda k: (out[k] - room[k], k) if gap > 0 else (-out[k], k)):
+        step = min(gap, room[k] - out[k]) if gap > 0 else max(gap, -out[k])
+        out[k] += step
+        gap -= step
+        if not gap:
+            break
+    return out
+
+
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n_words(b.column(2)))], names=["doc_id", "source", "size"])
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(n_words(b.column(3)))], names=["doc_id", "source", "body", "size"])
 
 
 def document_sizes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """doc_id, source, body (hash of the text where the id is null, else 0), size."""
     ship(docs.sparkSession)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_count, "doc_id long, source string, size long")
+    text = F.col(text_col).cast("string")
+    given = F.col(id_col).cast("long")
+    rows = docs.select(given.alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.when(given.isNull(), F.xxhash64(text)).otherwise(F.lit(0).cast("long")).alias("body"), text.alias("text"))
+    return rows.mapInArrow(_count, "doc_id long, source string, body long, size long")
 
 
 def mix(
@@ -102,11 +121,11 @@ def mix(
     shard_words: int = 1 << 18,
     cap: float = 3.0,
     max_sources: int = 100_000,
-    max_shards: int = 5_000_000,
+    max_shards: int = 200_000,
 ) -> DataFrame:
-    """doc_id, source, size, source_size, target, taken, first (words from the tape's seeded end taken once more), full (times the whole document is taken).
+    """doc_id, source, size, source_size, target, taken, first (words from the tape's seeded beginning taken once more), full (times the whole document is taken).
 
-    Weights go to the sources in order of their UTF-8 bytes, repeating, null last.
+    Weights go to the sources in order of their UTF-8 bytes, repeating, null last. The words taken of a source are its target, rounded.
     """
     spark = docs.sparkSession
     sized = cut(document_sizes(docs, id_col, text_col, source_col))
@@ -116,28 +135,28 @@ def mix(
     found.sort(key=lambda r: (r.source is None, (r.source or "").encode()))
     sizes = [int(r.words or 0) for r in found]
     wants = targets(sizes, [weights[i % len(weights)] for i in range(len(found))], cap)
-    blocks = sainte_lague(wants, round(sum(wants) / block_words), [int(cap * -(-s // block_words)) for s in sizes])
-    shards = [max(1, -(-s // shard_words)) for s in sizes]
-    if sum(shards) > max_shards:
-        raise ValueError(f"{sum(shards)} shards; raise shard_words")
+    blocks = sainte_lague(wants, round(sum(wants) / block_words), [int(cap * s) // block_words for s in sizes])
+    per_shard = max(shard_words, -(-sum(sizes) // max_shards))
+    shards = [max(1, -(-s // per_shard)) for s in sizes]
     of_source = spark.createDataFrame(
         [(i, r.source, s, float(t), n) for i, (r, s, t, n) in enumerate(zip(found, sizes, wants, shards, strict=True))],
         "src int, name string, source_size long, target double, n_shards int",
     )
     placed = (
         sized.join(of_source, F.col("source").eqNullSafe(F.col("name")))
-        .withColumn("draw", F.xxhash64(F.lit(seed), "doc_id", "size"))
-        .withColumn("shard", F.pmod(F.xxhash64(F.lit(seed + 1), "doc_id"), F.col("n_shards").cast("long")).cast("int"))
+        .withColumn("draw", F.xxhash64(F.lit(seed), "doc_id", "size", "body"))
+        .withColumn("shard", F.pmod(F.xxhash64(F.lit(seed + 1), "doc_id", "body"), F.col("n_shards").cast("long")).cast("int"))
     )
     held = {(r.src, r.shard): int(r.words) for r in placed.groupBy("src", "shard").agg(F.sum("size").alias("words")).collect()}
     plan = []
     for i, n in enumerate(shards):
         own = [held.get((i, k), 0) for k in range(n)]
-        cells = [-(-w // block_words) for w in own]
-        for k, q in enumerate(sainte_lague(own, blocks[i], [int(cap) * c for c in cells])):
-            plan.append((i, k, q // cells[k] if cells[k] else 0, q % cells[k] * block_words if cells[k] else 0))
+        room = [int(cap * w) for w in own]
+        quota = sainte_lague(own, blocks[i], [r // block_words for r in room])
+        for k, words in enumerate(in_words(min(sum(room), round(wants[i])), block_words, room, quota)):
+            plan.append((i, k, *(divmod(words, own[k]) if own[k] else (0, 0))))
     quota = spark.createDataFrame(plan, "src int, shard int, full long, first long")
-    tape = Window.partitionBy("src", "shard").orderBy("draw", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    tape = Window.partitionBy("src", "shard").orderBy("draw", "doc_id", "body").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     out = placed.withColumn("stop", F.sum("size").over(tape)).join(quota, ["src", "shard"])
     begin = F.col("stop") - F.col("size")
     more = F.greatest(F.lit(0), F.least(F.col("stop"), F.col("first")) - begin).cast("long")

@@ -49,11 +49,40 @@ def test_mix_edges(spark):
         assert 0 <= r.taken <= 3 * r.size
         by.setdefault(r.source, [0, r.target])[0] += r.taken
     for got, want in by.values():
-        assert abs(got - want) <= 8
+        assert abs(got - want) <= 0.5
     assert out and sorted(map(str, out)) == sorted(map(str, mixing.mix(docs(spark, rows), block_words=2).collect()))
     assert mixing.mix(docs(spark, [])).count() == 0
 
 
+def test_mix_takes_its_targets(spark, sf):
+    """Every source gives its rounded target, small ones too; no document above three times its size; whole tables."""
+    rng = random.Random(6)
+    tables = [spark.read.parquet(f"{sf}/documents.parquet")]
+    rows = [(i, "w " * rng.randint(0, 300), rng.choice("abcdefgh")) for i in range(400)] + [(900, "w " * 20, "tiny"), (901, "w " * 5, "tinier"), (902, "w", None), (903, "v " * 9000, "i")]
+    tables.append(docs(spark, rows + [(None, f"t{i} x", "none") for i in range(50)]))
+    for table in tables:
+        words, order = {}, lambda s: (s is None, (s or "").encode())
+        for r in table.collect():
+            n = len([w for w in __import__("re").findall(r"[^\x20\x09-\x0D]+", r.text or "")])
+            words[r.source] = words.get(r.source, 0) + n
+        names = sorted(words, key=order)
+        sizes, weights = [words[n] for n in names], [(5, 2, 1)[i % 3] for i in range(len(names))]
+        # the shares by bisection on the common level of all uncapped sources
+        low, high = 0.0, 3.0 * sum(sizes)
+        for _ in range(200):
+            level = (low + high) / 2
+            low, high = (level, high) if sum(min(3 * s, level * w) for s, w in zip(sizes, weights, strict=True)) < sum(sizes) else (low, level)
+        want = {n: min(3 * s, high * w) for n, s, w in zip(names, sizes, weights, strict=True)}
+        for shard_words in (64, 1 << 18):
+            got = mixing.mix(table, shard_words=shard_words).collect()
+            assert len(got) == table.count()
+            taken = {}
+            for r in got:
+                assert 0 <= r.taken <= 3 * r.size and r.source_size == words[r.source] and abs(r.target - want[r.source]) < 1e-3
+                taken[r.source] = taken.get(r.source, 0) + r.taken
+            assert all(abs(taken[n] - want[n]) <= 0.5001 for n in names)
+
+
 def brute_simhash(text, n=3):
     w = (text or "").encode().lower().split()
     s = [b" ".join(w[i : i + n]) for i in range(len(w) - n + 1)] or ([b" ".join(w)] if w else [])
