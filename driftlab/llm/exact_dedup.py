@@ -1,7 +1,8 @@
 """Exact deduplication: Patricia tries own each distinct text.
 
-Each map task folds the texts of a bounded chunk into a trie first, so a text that a third of
-all rows share leaves a task once per chunk, not once per row. What remains is dealt out by
+Each map task folds the texts of a bounded chunk into a trie first, and texts that repeat in a chunk
+stay with the task (up to `HELD_BYTES` of them) and leave it once at its end, so a text that a third of
+all rows share leaves a task once, not once per row or chunk. What remains is dealt out by
 (byte length, content hash) and sorted by it; a task then inserts the full byte strings into
 tries whose terminal nodes keep the owner (smallest or largest identifier) and the number of
 rows. All texts of one (length, hash) stand below one subtree, and the sorted order completes
@@ -80,10 +81,28 @@ class PatriciaTrie:
             stack.extend((child, path) for child in node[1].values())
 
 
+#: Bytes of repeated texts that a map task keeps to its end.
+HELD_BYTES = 16 << 20
+
+
 def _fold(pick, id_col: int, text_col: int):
-    """Map side: distinct texts of each chunk, with owner and row count."""
+    """Map side: distinct texts of each chunk, with owner and row count; repeated ones once per task."""
+
+    def batch_of(found: list) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays(
+            [
+                pa.array([len(t) for t, _, _ in found], pa.int64()),
+                pa.array(np.array([xxhash.xxh3_64_intdigest(t) for t, _, _ in found], np.uint64).view(np.int64)),
+                pa.array([t for t, _, _ in found], pa.binary()),
+                pa.array([o for _, o, _ in found], pa.int64()),
+                pa.array([n for _, _, n in found], pa.int64()),
+            ],
+            names=["n_bytes", "content", "body", "owner", "n_rows"],
+        )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[bytes, tuple] = {}
+        room = HELD_BYTES
         for batch in batches:
             ids = batch.column(id_col).to_pylist()
             flat, offsets = text_buffer(batch.column(text_col))
@@ -92,17 +111,20 @@ def _fold(pick, id_col: int, text_col: int):
                 trie = PatriciaTrie(pick)
                 for d in range(i, j):
                     trie.add(raw[offsets[d] : offsets[d + 1]], ids[d])
-                found = list(trie.items())
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([len(t) for t, _, _ in found], pa.int64()),
-                        pa.array(np.array([xxhash.xxh3_64_intdigest(t) for t, _, _ in found], np.uint64).view(np.int64)),
-                        pa.array([t for t, _, _ in found], pa.binary()),
-                        pa.array([o for _, o, _ in found], pa.int64()),
-                        pa.array([n for _, _, n in found], pa.int64()),
-                    ],
-                    names=["n_bytes", "content", "body", "owner", "n_rows"],
-                )
+                found = []
+                for text, owner, rows in trie.items():
+                    old = held.get(text)
+                    if old is not None:
+                        owners = [x for x in (old[0], owner) if x is not None]
+                        held[text] = (pick(owners) if owners else None, old[1] + rows)
+                    elif rows > 1 and len(text) + 200 <= room:
+                        room -= len(text) + 200
+                        held[text] = (owner, rows)
+                    else:
+                        found.append((text, owner, rows))
+                yield batch_of(found)
+        for i in range(0, len(held), 1000):
+            yield batch_of([(t, *held[t]) for t in list(held)[i : i + 1000]])
 
     return run
 

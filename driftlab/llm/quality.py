@@ -17,8 +17,7 @@ every score is 1, and with no good one 0; an empty table gives an empty result.
 
 from __future__ import annotations
 
-import base64
-import pickle
+import json
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -258,12 +257,18 @@ def score_documents(docs: DataFrame, model: LineField, id_col: str = "doc_id", t
     return rows.mapInArrow(_score(model, text_at, len(keep)), StructType([*keep, StructField("score", DoubleType())]))
 
 
+_PARTS = ("mean", "sd", "weights", "move")
+
+
 def to_text(model: LineField) -> str:
-    """A fitted model as printable text; from_text reads it."""
-    return base64.b64encode(pickle.dumps(model.__dict__)).decode()
+    """A fitted model as JSON; from_text reads it."""
+    return json.dumps({"constant": model.constant, **({} if model.constant is not None else {k: getattr(model, k).tolist() for k in _PARTS})})
 
 
 def from_text(text: str) -> LineField:
-    model = LineField()
-    model.__dict__.update(pickle.loads(base64.b64decode(text)))
+    held = json.loads(text)
+    model = LineField(held["constant"])
+    if model.constant is None:
+        for k in _PARTS:
+            setattr(model, k, np.array(held[k], float))
     return model

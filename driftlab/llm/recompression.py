@@ -36,10 +36,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SpanHash, as_text, byte_hash, chunks, cut, mix64, ship, signed, text_buffer, word_spans
+from .common import NO_ID, SpanHash, as_text, byte_hash, chunks, cut, mix64, ship, signed, stand_in, text_buffer, word_spans
 
 _U = np.uint64
 _FAR = np.int64(1) << np.int64(40)
@@ -162,17 +162,6 @@ class WordChunk:
         return out[:, 0], out[:, 1]
 
 
-#: Ids are below this; from here on stand the numbers given to rows without an id.
-NO_ID = 1 << 62
-
-
-def stand_in(id_col: str, text_col: str) -> Column:
-    """The id, or for a null id a number from NO_ID on that hashes the text; an id of its own from NO_ID on is an error."""
-    given = F.col(id_col).cast("long")
-    own = F.lit(NO_ID) + F.pmod(F.conv(F.substring(F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256), 1, 15), 16, 10).cast("long"), F.lit(NO_ID))
-    return F.when(given >= NO_ID, F.raise_error(F.lit("identifiers must be below 2^62")).cast("long")).otherwise(F.coalesce(given, own)).alias("doc_id")
-
-
 def _id_array(column: pa.Array) -> np.ndarray:
     return column.to_numpy(zero_copy_only=False).astype(np.int64)
 

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, min_components, mix64, ship, signed, text_buffer
+from .common import NO_ID, cut, min_components, mix64, ship, signed, stand_in, text_buffer
 
 #: (lowest bit, width) of the three segments.
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
@@ -337,6 +337,8 @@ def _verified(texts: DataFrame, asked: DataFrame, shingle: int, similarity: floa
 def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", small_group: int = 16, block: int = 512) -> DataFrame:
     """doc_id, component_id: documents whose sets of word shingles have Jaccard similarity of `similarity` or more are linked.
 
+    Rows without an id take part as documents of larger id than all others, one for each text; they come out, and stand as a component, as null.
+
     Every pair at the similarity shares a part fingerprint (part_prints), and every candidate is verified on the
     whole shingle sets, so the components are those of brute force. A group of up to small_group documents with
     one part is paired off. In a larger one each document first meets the smallest and its neighbour by id,
@@ -344,8 +346,14 @@ def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.
     left in different components are compared by sizes and parity sketches, in blocks of about `block` documents
     against each other, and what the sketches do not rule out is verified.
     """
+    real = lambda c: F.when(F.col(c) < NO_ID, F.col(c)).alias(c)
+    return _components(docs, shingle, similarity, id_col, text_col, small_group, block).select(real("doc_id"), real("component_id"))
+
+
+def _components(docs: DataFrame, shingle: int, similarity: float, id_col: str, text_col: str, small_group: int = 16, block: int = 512) -> DataFrame:
+    """similar_components with stand-ins for the ids that are null."""
     ship(docs.sparkSession)
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id IS NOT NULL")
+    texts = docs.select(stand_in(id_col, text_col), F.col(text_col).cast("string").alias("text"))
     prints = cut(texts.mapInArrow(_parts(shingle, similarity), "doc_id long, fp long, parts array<long>, kinds long, sketch array<long>"))
     rows = prints.select("doc_id", F.explode(F.array_distinct("parts")).alias("part"))
     shared = cut(rows.withColumn("n", F.count("*").over(Window.partitionBy("part"))).where("n > 1"))
@@ -376,7 +384,8 @@ def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
-    """docs with one document of each component of similar_components: the one of smallest id; columns as they came. Rows without an id stay."""
-    found = similar_components(docs, shingle, similarity, id_col, text_col)
+    """docs with one document of each component of similar_components: the one of smallest id, one without an id only where none has any; columns as they came. Rows that repeat an id stay or go together."""
+    found = _components(docs, shingle, similarity, id_col, text_col)
     gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
+    marked = docs.withColumn("__own", stand_in(id_col, text_col))
+    return marked.join(gone, marked["__own"] == gone["__gone"], "left_anti").drop("__own")

@@ -36,8 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import as_text, byte_hash, chunks, cut, mix64, ship, signed, text_buffer
-from .recompression import NO_ID, stand_in
+from .common import NO_ID, as_text, byte_hash, chunks, cut, mix64, ship, signed, stand_in, text_buffer
 
 _U = np.uint64
 GRAM = 16

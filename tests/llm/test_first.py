@@ -200,6 +200,18 @@ def test_trie_against_dict():
     assert {t: (o, n) for t, o, n in trie.items()} == want
 
 
+def test_hot_text_leaves_a_task_once(monkeypatch):
+    import pyarrow as pa
+
+    batches = [pa.RecordBatch.from_arrays([pa.array([4 * k, 4 * k + 1, None, 4 * k + 3], pa.int64()), pa.array(["hot", "hot", "hot", f"own {k}"])], names=["id", "text"]) for k in range(5)]
+    for held, times in ((16 << 20, 1), (0, 5)):
+        monkeypatch.setattr(exact_dedup, "HELD_BYTES", held)
+        out = [r for b in exact_dedup._fold(max, 0, 1)(iter(batches)) for r in b.to_pylist()]
+        hot = [r for r in out if r["body"] == b"hot"]
+        assert len(hot) == times and sum(r["n_rows"] for r in hot) == 15 and max(r["owner"] for r in hot) == 17
+        assert sum(r["n_rows"] for r in out) == 20
+
+
 def test_exact_groups(spark):
     rows = [(1, "a", None), (2, "a", "s"), (3, None, None), (4, "", "s"), (5, "b" * 200000, None), (6, "b" * 200000, None), (7, "A", None), (None, "q", None)]
     got = {r.doc_id: r for r in exact_dedup.exact_groups(docs(spark, rows), keep="max").collect()}

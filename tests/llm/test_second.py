@@ -67,6 +67,21 @@ def test_formats_are_learned(spark):
     assert hidden[-1] not in secrets.redact(one[1], got[one[0]])
 
 
+def test_formats_on_the_given_documents(spark):
+    """Bare tokens too short for a base pattern are found by the format of the table's own credentials; its cards, addresses and words are not."""
+    rng = random.Random(5)
+    table = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    hidden = {10_000_000 + i: "".join(rng.choice("0123456789abcdef") for _ in range(rng.randint(18, 23))) for i in range(40)}
+    extra = spark.createDataFrame([(i, f"thaner reinged {t} edsh anou") for i, t in hidden.items()], "doc_id long, text string")
+    formats = secrets.infer_formats(table)
+    assert formats.held_out[3] > 300 and formats.caught[3] <= 0.01 * formats.held_out[3]
+    got = {r.doc_id: r.spans for r in secrets.find_secrets(table.union(extra), formats=formats).collect()}
+    caught = sum(got[i] == f"format:15:{15 + len(t)}" for i, t in hidden.items())
+    # nine in ten are asked for, of 40: less three standard deviations
+    assert caught >= 30
+    assert sum("format" in s for i, s in got.items() if i not in hidden) <= 2
+
+
 def test_automaton_is_a_distribution():
     a = secrets.learn([b"ab12", b"ab1", b"zz"] * 20)
     assert np.allclose(np.exp(a.logp).sum(axis=1), 1)

@@ -137,8 +137,10 @@ def test_similar_components(spark):
             assert want[got[i]] == want[i]
     assert missed <= 0.02 * pairs
     left = simhash.drop_near_copies(docs(spark, [(1, "a b c d e f g h", None), (2, "A b c d e f g h", None), (None, "a b c d e f g h", None), (None, None, None)]).withColumn("component_id", F.lit(0)))
-    assert sorted(str(r.doc_id) for r in left.collect()) == ["1", "None", "None"]
+    assert sorted(str(r.doc_id) for r in left.collect()) == ["1", "None"]
     assert simhash.similar_components(docs(spark, [])).count() == 0
+    none = simhash.drop_near_copies(docs(spark, [(None, "a b c d e f g h", None), (None, "A b c d e f g h", None), (None, "other words", None)]))
+    assert sorted(r.text.lower() for r in none.collect()) == ["a b c d e f g h", "other words"]
 
 
 def test_parts_are_lossless():
