@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import NO_ID, cut, min_components, mix64, ship, signed, stand_in, text_buffer
+from .common import NO_ID, chunks, cut, min_components, mix64, ship, signed, stand_in, text_buffer
 
 #: (lowest bit, width) of the three segments.
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
@@ -293,21 +293,60 @@ def _close(similarity: float):
     return run
 
 
-def _parts(shingle: int, similarity: float):
+def _prints(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids = b.column(0).to_pylist()
             flat, off = text_buffer(b.column(1))
             raw = flat.tobytes()
-            prints, lists, kinds, sketches = [], [], [], []
-            for d in range(len(ids)):
+            prints, kinds, sketches = [], [], []
+            for d in range(b.num_rows):
                 h = shingle_hashes(raw[off[d] : off[d + 1]], shingle)
                 prints.append(_majority(h) if len(h) else 0)
-                lists.append(signed(np.array(part_prints(h, similarity), np.uint64)))
                 kinds.append(len(np.unique(h)))
                 sketches.append(signed(parity_sketch(h)))
-            arrays = [b.column(0), pa.array(signed(np.array(prints, np.uint64))), pa.array(lists, pa.list_(pa.int64())), pa.array(kinds, pa.int64()), pa.array(sketches, pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "fp", "parts", "kinds", "sketch"])
+            arrays = [b.column(0), pa.array(signed(np.array(prints, np.uint64))), pa.array(kinds, pa.int64()), pa.array(sketches, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "fp", "kinds", "sketch"])
+
+    return run
+
+
+def _parts(shingle: int, similarity: float):
+    """(doc_id, part), each once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ids = b.column(0).to_numpy(zero_copy_only=False)
+            flat, off = text_buffer(b.column(1))
+            raw = flat.tobytes()
+            for i, j in chunks(off):
+                parts = [np.unique(np.array(part_prints(shingle_hashes(raw[off[d] : off[d + 1]], shingle), similarity), np.uint64)) for d in range(i, j)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids[i:j], [len(p) for p in parts])), pa.array(signed(np.concatenate(parts)))], names=["doc_id", "part"])
+
+    return run
+
+
+def sketch_gap(x: np.ndarray, y: np.ndarray) -> int:
+    """Bits in which two parity sketches differ, the larger one halved to the size of the other."""
+    while len(x) > len(y):
+        x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+    while len(y) > len(x):
+        y = y[: len(y) // 2] ^ y[len(y) // 2 :]
+    return int(np.bitwise_count(x ^ y).sum())
+
+
+def _possible(similarity: float):
+    """Of rows (a, b, kinds and sketches of both), the pairs that sizes and sketches do not rule out."""
+    ratio = (1 - similarity) / (1 + similarity)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            get = lambda n, b=b: b.column(b.schema.get_field_index(n))
+            ka, kb = get("ka").to_numpy(), get("kb").to_numpy()
+            room = (ka + kb) * ratio + 1e-9
+            near = np.flatnonzero(np.abs(ka - kb) <= room)
+            (xo, xv), (yo, yv) = ((c.offsets.to_numpy(), c.values.to_numpy()) for c in (get("sa"), get("sb")))
+            keep = [i for i in near.tolist() if sketch_gap(xv[xo[i] : xo[i + 1]].view(np.uint64), yv[yo[i] : yo[i + 1]].view(np.uint64)) <= room[i]]
+            yield b.take(pa.array(keep, pa.int64())).select(["a", "b"])
 
     return run
 
@@ -339,8 +378,8 @@ def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.
 
     Rows without an id take part as documents of larger id than all others, one for each text; they come out, and stand as a component, as null.
 
-    Every pair at the similarity shares a part fingerprint (part_prints), and every candidate is verified on the
-    whole shingle sets, so the components are those of brute force. A group of up to small_group documents with
+    Every pair at the similarity shares a part fingerprint (part_prints), and every candidate that sizes and parity sketches do not
+    rule out (which they never do at the similarity) is verified on the whole shingle sets, so the components are those of brute force. A group of up to small_group documents with
     one part is paired off. In a larger one each document first meets the smallest and its neighbour by id,
     and documents whose SimHash fingerprints differ in at most 2 bits (Golay keys) meet; then all pairs that these links
     left in different components are compared by sizes and parity sketches, in blocks of about `block` documents
@@ -354,8 +393,9 @@ def _components(docs: DataFrame, shingle: int, similarity: float, id_col: str, t
     """similar_components with stand-ins for the ids that are null."""
     ship(docs.sparkSession)
     texts = docs.select(stand_in(id_col, text_col), F.col(text_col).cast("string").alias("text"))
-    prints = cut(texts.mapInArrow(_parts(shingle, similarity), "doc_id long, fp long, parts array<long>, kinds long, sketch array<long>"))
-    rows = prints.select("doc_id", F.explode(F.array_distinct("parts")).alias("part"))
+    prints = cut(texts.mapInArrow(_prints(shingle), "doc_id long, fp long, kinds long, sketch array<long>"))
+    # hashed a second time rather than written: most parts are met once
+    rows = texts.mapInArrow(_parts(shingle, similarity), "doc_id long, part long")
     shared = cut(rows.withColumn("n", F.count("*").over(Window.partitionBy("part"))).where("n > 1"))
     few = shared.where(F.col("n") <= small_group).groupBy("part").agg(F.collect_list("doc_id").alias("m"))
     pairs = few.select(F.explode(F.expr("flatten(transform(m, x -> transform(filter(m, y -> y > x), y -> struct(x AS a, y AS b))))")).alias("e")).select("e.a", "e.b")
@@ -365,8 +405,11 @@ def _components(docs: DataFrame, shingle: int, similarity: float, id_col: str, t
     next_to = many.select(F.lag("doc_id").over(Window.partitionBy("part").orderBy("doc_id")).alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL")
     nodes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("node")))
     same = prints.join(nodes, "fp").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
-    asked = pairs.union(beside).union(next_to).union(same).union(near_links(nodes)).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    comp = cut(min_components(_verified(texts, cut(asked), shingle, similarity).select("a", "b")))
+    asked = pairs.union(beside).union(next_to).union(same).union(near_links(nodes)).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    asked = asked.distinct()
+    of = lambda side: prints.select(F.col("doc_id").alias(side), F.col("kinds").alias(f"k{side}"), F.col("sketch").alias(f"s{side}"))
+    possible = asked.join(of("a"), "a").join(of("b"), "b").mapInArrow(_possible(similarity), "a long, b long").distinct()
+    comp = cut(min_components(_verified(texts, cut(possible), shingle, similarity).select("a", "b")))
     labels = comp.select(F.col("node").alias("doc_id"), F.col("component").alias("found"))
     hot = many.join(labels, "doc_id", "left").select("part", "doc_id", "n", F.coalesce("found", "doc_id").alias("label"))
     split = hot.groupBy("part").agg(F.min("label").alias("l"), F.max("label").alias("h")).where("l < h").select("part")
