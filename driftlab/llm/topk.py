@@ -62,12 +62,20 @@ class Best:
             for i in range(0, len(self.ids), step):
                 us = slice(i, i + step)
                 s = _scores(self.vectors[us], vectors[them])
-                q, c = np.nonzero((s >= self.least[us, None]) & (self.rows[us, None] != rows[None, them]))
+                least = self.least[us]
+                if s.shape[1] > self.k + 1 and (least == np.iinfo(np.int64).min).any():
+                    # the k + 1 best of the batch hold k besides the query itself
+                    least = np.maximum(least, np.partition(s, -(self.k + 1), axis=1)[:, -(self.k + 1)])
+                q, c = np.nonzero(s >= least[:, None])
+                other = self.rows[us][q] != rows[them][c]
+                q, c = q[other], c[other]
                 if len(q):
                     self.open.append((q + i, s[q, c], ids[them][c], rows[them][c]))
                     self.n_open += len(q)
                 if self.n_open > _GRID:
                     self.fold()
+            if self.n_open > 8 * self.k * len(self.ids) or (self.least == np.iinfo(np.int64).min).any():
+                self.fold()
 
     def fold(self) -> None:
         q, s, ids, rows = (np.concatenate(x) for x in zip(self.held, *self.open, strict=True))
