@@ -139,9 +139,9 @@ def categories(train: DataFrame, column: str, max_values: int = 10_000) -> Categ
 # ------------------------------------------------------------------ fits on tables
 
 
-def fit_table(name: str, train: DataFrame, features: Sequence[str], sample_cap: int | None = SAMPLE_CAP, seed: int = 0, **options):
+def fit_table(name: str, train: DataFrame, features: Sequence[str], sample_cap: int | None = SAMPLE_CAP, seed: int = 0, keys: Sequence[str] = (), **options):
     """A baseline fitted on a bounded sample of a table."""
-    x = take_sample(train, features, sample_cap, seed)
+    x = take_sample(train, features, sample_cap, seed, keys)
     if not len(x):
         raise ValueError("the training sample is empty")
     kinds = {"plain_kmeans": plain_kmeans_array, "midpoint_kd": midpoint_kd_array, "quantile_peel": quantile_peel_array, "grid": grid_array}
@@ -151,23 +151,38 @@ def fit_table(name: str, train: DataFrame, features: Sequence[str], sample_cap:
 
 
 def kd_table(df: DataFrame, features: Sequence[str], low: Sequence[float], high: Sequence[float], depth: int, max_points: int) -> DataFrame:
-    """(node, n): the midpoint tree of a table of any size, level by level; heavy nodes are halved, nodes at most max_points rows stay leaves."""
+    """(node, n): the midpoint tree of a table of any size; heavy nodes are halved, nodes at most max_points rows stay leaves.
+
+    The cuts are known beforehand, so one pass counts the cells of the full depth; the tree is read off sums of these counts, level by level.
+    """
+    if depth > 60:
+        raise ValueError("a depth of 60 at most")
     m = len(features)
-    state = df.select(*features).withColumn("node", F.lit(1).cast("long"))
-    for f, a, b in zip(features, low, high, strict=True):
-        state = state.withColumn(f"lo_{f}", F.lit(float(a))).withColumn(f"hi_{f}", F.lit(float(b)))
+
+    def path(f: str, a: float, b: float, bits: int):
+        """The feature's halves, one bit each, the first one highest."""
+        begin = F.struct(F.lit(float(a)).alias("lo"), F.lit(float(b)).alias("hi"), F.lit(0).cast("long").alias("way"))
+
+        def step(s, _):
+            mid = (s["lo"] + s["hi"]) / 2
+            right = F.col(f) > mid
+            return F.struct(F.when(right, mid).otherwise(s["lo"]).alias("lo"), F.when(right, s["hi"]).otherwise(mid).alias("hi"), (s["way"] * 2 + right.cast("int")).alias("way"))
+
+        return F.aggregate(F.sequence(F.lit(1), F.lit(bits)), begin, step)["way"] if bits else F.lit(0).cast("long")
+
+    bits = [len(range(j, depth, m)) for j in range(m)]
+    ways = df.select(*(path(f, a, b, n).alias(f"w{j}") for j, (f, a, b, n) in enumerate(zip(features, low, high, bits, strict=True))))
+    node = F.lit(1).cast("long")
+    for level in range(depth):
+        j = level % m
+        node = node * 2 + F.shiftright(F.col(f"w{j}"), bits[j] - 1 - level // m).bitwiseAND(F.lit(1).cast("long"))
+    cells = ways.groupBy(node.alias("cell")).agg(F.count("*").alias("n")).persist()
+    state = cells.withColumn("node", F.lit(None).cast("long"))
     for level in range(depth):
-        f = features[level % m]
-        sizes = state.where(F.col("node") >= (1 << level)).groupBy("node").agg(F.count("*").alias("n")).where(F.col("n") > max_points).select("node", F.lit(True).alias("heavy"))
-        state = state.join(F.broadcast(sizes), "node", "left")
-        mid = (F.col(f"lo_{f}") + F.col(f"hi_{f}")) / 2
-        right = F.col(f) > mid
-        heavy = F.coalesce("heavy", F.lit(False))
-        state = state.withColumn("__mid", mid).withColumn("__right", right)
-        state = state.withColumn("node", F.when(heavy, F.col("node") * 2 + F.col("__right").cast("int")).otherwise(F.col("node")))
-        state = state.withColumn(f"lo_{f}", F.when(heavy & F.col("__right"), F.col("__mid")).otherwise(F.col(f"lo_{f}")))
-        state = state.withColumn(f"hi_{f}", F.when(heavy & ~F.col("__right"), F.col("__mid")).otherwise(F.col(f"hi_{f}"))).drop("heavy", "__mid", "__right")
-    return state.groupBy("node").agg(F.count("*").alias("n"))
+        above = F.shiftright("cell", depth - level)
+        light = cells.groupBy(above.alias("up")).agg(F.sum("n").alias("m")).where(F.col("m") <= max_points).select("up")
+        state = state.withColumn("at", above).join(light, F.col("at") == F.col("up"), "left").withColumn("node", F.coalesce("node", "up")).drop("at", "up")
+    return state.groupBy(F.coalesce("node", "cell").alias("node")).agg(F.sum("n").alias("n"))
 
 
 # ------------------------------------------------------------------ spanning-tree runs test

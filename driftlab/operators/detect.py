@@ -74,14 +74,20 @@ def detect(hist: Histogram, test: DataFrame, by: Sequence[str] = (), alpha: floa
 
 
 def benjamini_hochberg(results: DataFrame, alpha: float = 0.05) -> DataFrame:
-    """results with `reject` at a controlled rate of false alarms over all their rows (one row per window or batch)."""
-    from pyspark.sql import Window
-
-    rank = F.row_number().over(Window.orderBy("p_value"))
-    n = results.count()
-    ranked = results.withColumn("__rank", rank)
-    top = ranked.where(F.col("p_value") <= alpha * F.col("__rank") / n).agg(F.coalesce(F.max("p_value"), F.lit(-1.0)).alias("__top"))
-    return ranked.crossJoin(F.broadcast(top)).withColumn("reject", F.col("p_value") <= F.col("__top")).drop("__rank", "__top")
+    """results with `reject` at a controlled rate of false alarms over all their rows (one row per window or batch).
+
+    The number of rejections is the largest k with k p-values at or below alpha k / n; from k = n on, counting those and taking the count as
+    the next k falls to it, so each step is one distributed count and no row is ranked.
+    """
+    held = results.persist()
+    n = held.count()
+    k = n
+    while k:
+        fewer = held.where(F.col("p_value") <= alpha * k / n).count()
+        if fewer == k:
+            break
+        k = fewer
+    return held.withColumn("reject", F.col("p_value") <= alpha * k / n if k else F.lit(False))
 
 
 def as_feature(df: DataFrame, label: str, features: Sequence[str], scale: float = 1.0) -> tuple[DataFrame, tuple[str, ...]]:

@@ -31,6 +31,9 @@ class FitOptions:
     'bisect' (approximate: feasibility is not monotone). fallback: 'random' k-means with unit
     weights. init: 'greedy' or 'random'. expect_test_size: also ask for 5 expected test rows in each bin.
     scale: 'none', 'zscore', 'minmax' or 'robust'. nn: neighbour engine 'incremental', 'brute' or 'grid'.
+    sample_cap: rows of the table that a fit sees, drawn by a hash of the columns `keys` (of the row's place without). recount: the histogram of
+    a table carries the counts of the whole table, not of the rows it was fitted to. count_share: share of a sample that is kept from the fit
+    and counted in its place, since bins made even on the rows they are fitted to are too even on them.
     """
 
     beta: int = 50
@@ -49,6 +52,9 @@ class FitOptions:
     tol: float = 1e-6
     k_max: int | None = None
     seed: int = 0
+    keys: tuple[str, ...] = ()
+    recount: bool = True
+    count_share: float = 0.0
 
 
 def theta_grid(top: float = 1.5, step: float = 0.05) -> tuple[float, ...]:
@@ -316,6 +322,11 @@ def fit_array(x: np.ndarray, features: Sequence[str], o: FitOptions | None = Non
         raise ValueError("the training sample is empty")
     if not np.isfinite(x).all():
         raise ValueError("a training feature is null, NaN or infinite")
+    if o.count_share:
+        order = np.random.default_rng([o.seed, 1]).permutation(len(x))
+        kept = max(1, round(len(x) * (1 - o.count_share)))
+        hist = fit_array(x[order[:kept]], features, replace(o, count_share=0.0), attempt)
+        return replace(hist, counts=np.bincount(hist.label(x[order[kept:]]), minlength=hist.n_bins))
     shift, scale = scaler(x, o.scale)
     z = x if shift is None else (x - shift) / scale
     attempt = attempt or (lambda k: try_k(z, k, o))
@@ -346,19 +357,35 @@ def fit_array(x: np.ndarray, features: Sequence[str], o: FitOptions | None = Non
     return replace(out, shift=shift, scale=scale, params={**out.params, "beta": o.beta, "ratio": o.ratio, "stop": o.stop})
 
 
-def take_sample(df: DataFrame, features: Sequence[str], cap: int | None, seed: int = 0) -> np.ndarray:
-    """At most cap rows of smallest hash, as an array; all rows where cap is None, which must then be few."""
-    rows = df.select(*(F.col(f).cast("double").alias(f) for f in features))
+def take_sample(df: DataFrame, features: Sequence[str], cap: int | None, seed: int = 0, keys: Sequence[str] = ()) -> np.ndarray:
+    """At most cap rows of smallest hash, as an array; all rows where cap is None, which must then be few.
+
+    The hash is of the key columns, or, without, of the row's place in the table, so rows of equal features are drawn each by itself. With keys the
+    sample does not depend on how the table is split.
+    """
+    drawn = F.xxhash64(F.lit(seed), *(keys or [F.monotonically_increasing_id()]))
+    rows = df.select(*(F.col(f).cast("double").alias(f) for f in features), drawn.alias("__draw"))
     if cap is not None:
-        rows = rows.orderBy(F.xxhash64(F.lit(seed), *features), *features).limit(cap)
-    return rows.toPandas().to_numpy(float)
+        rows = rows.orderBy("__draw", *features).limit(cap)
+    return rows.drop("__draw").toPandas().to_numpy(float)
+
+
+def recounted(hist: CentroidHistogram, train: DataFrame):
+    """hist with the counts of the whole table, by one distributed pass."""
+    got = {r.bin: r.n for r in hist.assign(train).groupBy("bin").agg(F.count("*").alias("n")).collect()}
+    return replace(hist, counts=np.array([got.get(b, 0) for b in range(hist.n_bins)], np.int64))
 
 
 def fit_balanced(train: DataFrame, features: Sequence[str], options: FitOptions | None = None, **changes) -> CentroidHistogram:
-    """The balanced histogram of a table: a bounded sample is fitted, by search='waves' with one task per number of bins."""
+    """The balanced histogram of a table: a bounded sample is fitted, by search='waves' with one task per number of bins; the counts are the whole table's."""
     o = replace(options or FitOptions(), **changes)
-    x = take_sample(train, features, o.sample_cap, o.seed)
-    if o.search != "waves" or not len(x):
+    hist = _fit_sample(train, features, o)
+    return recounted(hist, train) if o.recount else hist
+
+
+def _fit_sample(train: DataFrame, features: Sequence[str], o: FitOptions) -> CentroidHistogram:
+    x = take_sample(train, features, o.sample_cap, o.seed, o.keys)
+    if o.search != "waves" or o.count_share or not len(x):
         return fit_array(x, features, o)
     spark = train.sparkSession
     ship(spark)
@@ -416,8 +443,10 @@ def pca_columns(df: DataFrame, features: Sequence[str], d: int, sample_cap: int
 
 
 def seed_table(points: DataFrame, k: int, features: Sequence[str], id_col: str = "id", rounds: int | None = None) -> DataFrame:
-    """Block of each row by DataFrame operators, for small tables: (round, id). Each round is nearest neighbours by self join, the farthest row, its closest rows."""
+    """Block of each row by DataFrame operators, for tables of at most SAMPLE_CAP rows: (round, id). Each round is nearest neighbours by self join, the farthest row, its closest rows."""
     n = points.count()
+    if n > SAMPLE_CAP:
+        raise ValueError(f"seeding by joins is quadratic; at most {SAMPLE_CAP} rows")
     sizes = block_sizes(n, k)
     left = points.select(id_col, *features)
     out = None

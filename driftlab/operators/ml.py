@@ -41,7 +41,7 @@ class BalancedBins(Estimator, _Shared):
 
     def _fit(self, df: DataFrame) -> BalancedBinsModel:
         get = self.getOrDefault
-        rows = self._plain(df).select("__x").orderBy(F.xxhash64(F.lit(get("seed")), "__x")).limit(SAMPLE_CAP).collect()
+        rows = self._plain(df).select("__x").withColumn("__draw", F.xxhash64(F.lit(get("seed")), F.monotonically_increasing_id())).orderBy("__draw", "__x").limit(SAMPLE_CAP).collect()
         if not rows:
             raise ValueError("the training sample is empty")
         import numpy as np

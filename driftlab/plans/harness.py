@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..functions.chisq import chi2_sf, table_stat
 from ..operators import baselines
 from ..operators.detect import contingency_wide, detect
-from ..operators.fitting import FitOptions, fit_array, take_sample
+from ..operators.fitting import FitOptions, fit_array, recounted, take_sample
 from ..operators.measures import TRIAL
 from ..session import ship
 from ..sources import gen
@@ -28,6 +28,8 @@ def fit_method(name: str, x: np.ndarray, features: Sequence[str], beta: int = 50
     """A fitted model of a method; the runs test keeps the sample itself."""
     if name == "balanced":
         return fit_array(x, features, FitOptions(beta=beta, seed=seed, **options))
+    if name == "balanced_split":
+        return fit_array(x, features, FitOptions(**{"beta": beta, "seed": seed, "count_share": 0.5, **options}))
     if name == "plain_kmeans":
         return baselines.plain_kmeans_array(x, features, beta=beta, seed=seed)
     if name == "midpoint_kd":
@@ -71,7 +73,7 @@ def run_trials(sets: DataFrame, features: Sequence[str], methods: Sequence[str]
         tests = [(no, bool(g.drifted.iloc[0]), g[list(features)].to_numpy(float)) for no, g in f[f.test_no >= 0].groupby("test_no")]
         rows = []
         for name in methods:
-            model = fit_method(name, train, features, beta=beta, seed=int(key[1]), **((fit or {}) if name == "balanced" else {}))
+            model = fit_method(name, train, features, beta=beta, seed=int(key[1]), **((fit or {}) if name.startswith("balanced") else {}))
             for (no, drifted, _), (p, reject) in zip(tests, test_method(name, model, [t for _, _, t in tests], alpha), strict=True):
                 rows.append((key[0], name, int(key[1]), int(no), drifted, p, bool(reject)))
         return pd.DataFrame(rows, columns=["workload", "method", "run", "test_no", "drifted", "p_value", "reject"]).astype({"run": "int32", "test_no": "int32"})
@@ -145,20 +147,21 @@ def sampled_sets(same: DataFrame, other: DataFrame, workload: str, features: Seq
     return spread.groupBy("run").applyInPandas(draw, f"workload string, run int, test_no int, drifted boolean, row long, {kinds}")
 
 
-def compare(methods: Sequence[str], train: DataFrame, tests: DataFrame, features: Sequence[str], by: str, alpha: float = 0.05, beta: int = 50, sample_cap: int = 20_000, seed: int = 0) -> DataFrame:
+def compare(methods: Sequence[str], train: DataFrame, tests: DataFrame, features: Sequence[str], by: str, alpha: float = 0.05, beta: int = 50, sample_cap: int = 20_000, seed: int = 0, keys: Sequence[str] = ()) -> DataFrame:
     """(method, by, stat, p_value, reject): every batch of `tests` judged by every method fitted on one bounded sample of `train`.
 
-    Histogram methods count whole batches in one distributed pass; peeling methods take thresholds simulated for each
-    batch's size; the runs test works on one batch per task and refuses batches beyond the quadratic cap.
+    Histogram methods count the whole training table and whole batches in one distributed pass; peeling methods take thresholds simulated for each
+    batch's size; the runs test takes the whole sample, works on one batch per task and refuses samples and batches beyond the quadratic cap.
+    keys: columns that tell the rows of `train` apart.
     """
     spark = train.sparkSession
-    x = take_sample(train, features, sample_cap, seed)
+    x = take_sample(train, features, sample_cap, seed, keys)
     out = None
     for name in methods:
         if name == "mst_runs":
-            got = baselines.runs_table(tests, x[: baselines.QUADRATIC_CAP // 2], features, by, alpha).select(F.lit(name).alias("method"), by, F.col("z").alias("stat"), "p_value", "reject")
+            got = baselines.runs_table(tests, x, features, by, alpha).select(F.lit(name).alias("method"), by, F.col("z").alias("stat"), "p_value", "reject")
         elif name in ("peel_chi2", "peel_tv"):
-            hist = fit_method(name, x, features, beta, seed)
+            hist = recounted(fit_method(name, x, features, beta, seed), train)
             wide = contingency_wide(hist, tests, [by]).withColumn("q", F.aggregate("t", F.lit(0).cast("long"), lambda s, v: s + v))
             sizes = [r.q for r in wide.select("q").distinct().collect()]
             kind = name.removeprefix("peel_")
@@ -168,6 +171,6 @@ def compare(methods: Sequence[str], train: DataFrame, tests: DataFrame, features
             stat = F.aggregate(F.zip_with("o", "t", term), F.lit(0.0), lambda s, v: s + v)
             got = wide.join(F.broadcast(limits), "q").select(F.lit(name).alias("method"), by, stat.alias("stat"), F.lit(None).cast("double").alias("p_value"), (stat > F.col("limit")).alias("reject"))
         else:
-            got = detect(fit_method(name, x, features, beta, seed), tests, [by], alpha).select(F.lit(name).alias("method"), by, "stat", "p_value", "reject")
+            got = detect(fit_method(name, x, features, beta, seed), tests, [by], alpha, train=train).select(F.lit(name).alias("method"), by, "stat", "p_value", "reject")
         out = got if out is None else out.unionByName(got)
     return out

@@ -50,7 +50,7 @@ def training_sizes(spark: SparkSession, sizes: Sequence[int] = (2000, 3000, 4000
     return out
 
 
-def dimensions(spark: SparkSession, dims: Sequence[int] = (4, 6, 8, 10, 20), runs: int = 1, tests: int = 10, methods: Sequence[str] = ("balanced", "plain_kmeans", "midpoint_kd", "peel_chi2", "peel_tv")) -> DataFrame:
+def dimensions(spark: SparkSession, dims: Sequence[int] = (4, 6, 8, 10, 20), runs: int = 1, tests: int = 10, methods: Sequence[str] = METHODS) -> DataFrame:
     """Trials with unrelated dimensions added: one Gaussian (margin 0.5) and four (margin 1), doubled training set."""
     out = None
     for d in dims:

@@ -21,6 +21,8 @@ from . import query
 CENTRES = ((0.25, 0.25), (0.25, 0.75), (0.75, 0.25), (0.75, 0.75))
 WEIGHTS = (1.0, 0.8, 1.25, 1.0)
 XY = ("x", "y")
+#: Columns that tell the rows of lineitem apart, for samples.
+KEYS = ("l_orderkey", "l_linenumber", "l_partkey", "x", "y")
 P = "(SELECT *, l_quantity / 50 AS x, l_extendedprice / 105000 AS y, year(l_shipdate) AS yr FROM lineitem)"
 
 
@@ -227,40 +229,40 @@ def _describe(spark, hist) -> DataFrame:
 
 @query()
 def fit_balanced_small(spark, d):
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=2000))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000))
 
 
 @query()
 def fit_balanced_waves(spark, d):
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=2000, search="waves"))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, search="waves"))
 
 
 @query()
 def fit_fixed_k(spark, d):
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=1350, k_init=9))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=1350, k_init=9))
 
 
 @query()
 def fit_fallback(spark, d):
     """No number of bins can hold so many rows each: the fallback."""
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=500, beta=400, k_init=4))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=500, beta=400, k_init=4))
 
 
 @query()
 def fit_expected5(spark, d):
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=2000, expect_test_size=150))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, expect_test_size=150))
 
 
 @query()
 def fit_share_ratio(spark, d):
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, sample_cap=2000, ratio="share"))
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, ratio="share"))
 
 
 @query()
 def fit_ablations(spark, d):
     """Random start, no rescaling, even counts, bisection: one row each."""
     changes = {"random_start": {"init": "random"}, "no_rescale": {"grid": (0.0,)}, "last": {"stop": "last"}, "best": {"stop": "best"}, "bisect": {"search": "bisect"}, "grid_nn": {"nn": "grid"}}
-    x = fitting.take_sample(rows_of(spark, d), XY, 2000)
+    x = fitting.take_sample(rows_of(spark, d), XY, 2000, keys=KEYS)
     rows = []
     for name, c in changes.items():
         h = fitting.fit_array(x, XY, fitting.FitOptions(**c))
@@ -485,9 +487,10 @@ def offset_closed_form(spark, d):
 
 @query()
 def plain_kmeans_test(spark, d):
+    """Bins fitted to 2 000 rows; both rows of the table of counts are of all rows of their years."""
     p = rows_of(spark, d)
-    hist = baselines.fit_table("plain_kmeans", p.where("yr < 1998"), XY, 2000)
-    return _short(detect.detect(hist, p.where("yr >= 1998"), how="arrow"))
+    hist = baselines.fit_table("plain_kmeans", p.where("yr < 1998"), XY, 2000, keys=KEYS)
+    return _short(detect.detect(hist, p.where("yr >= 1998"), train=p.where("yr < 1998"), how="arrow"))
 
 
 _KD_RULE = "(CASE WHEN x > 0.5 THEN CASE WHEN y > 0.5 THEN 7 ELSE 6 END ELSE CASE WHEN y > 0.5 THEN 5 ELSE 4 END END)"
@@ -564,11 +567,14 @@ def mst_edges_small(spark, d):
 
 @query()
 def mst_runs_test(spark, d):
-    """Runs test of each order status's prices and months against a sample of the others."""
+    """Runs tests of all orders of each status, in blocks of about 1 000, against 400 of all: the status's least p-value times its blocks."""
     o = table(spark, d, "orders").select("o_orderkey", "o_orderstatus", (F.col("o_totalprice") / 500000).alias("a"), (F.month("o_orderdate") / 12.0).alias("b"))
-    train = fitting.take_sample(o, ("a", "b"), 400)
-    small = stratified(o, "o_orderstatus", {"O": 150, "F": 150, "P": 150}, ["o_orderkey"])
-    return baselines.runs_table(small, train, ("a", "b"), "o_orderstatus")
+    train = fitting.take_sample(o, ("a", "b"), 400, keys=("o_orderkey",))
+    sizes = o.groupBy("o_orderstatus").agg(F.ceil(F.count("*") / 1000).alias("blocks"))
+    dealt = o.join(F.broadcast(sizes), "o_orderstatus").withColumn("batch", F.concat_ws("/", "o_orderstatus", F.pmod(F.xxhash64("o_orderkey"), F.col("blocks"))))
+    got = baselines.runs_table(dealt, train, ("a", "b"), "batch").withColumn("o_orderstatus", F.substring_index("batch", "/", 1))
+    found = got.groupBy("o_orderstatus").agg(F.count("*").alias("blocks"), F.sum("runs").alias("runs"), F.least(F.lit(1.0), F.min("p_value") * F.count("*")).alias("p_value"))
+    return found.withColumn("reject", F.col("p_value") < 0.05)
 
 
 _GRID_BIN = "(least(greatest(floor(x * 3)::INTEGER, 0), 2) + 3 * least(greatest(floor(y * 3)::INTEGER, 0), 2))"

@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..session import shared_folder
 from ..sources.tables import hash_fraction, read, stratified, table, write
 from . import query
 
@@ -475,7 +475,7 @@ def op_sample_stratified(spark, d):
 def op_sink_roundtrip(spark, d):
     """Writes nation in four formats under the session's shared folder (a temporary one where none is set) and reads it back."""
     (n,) = _t(spark, d, "nation")
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="driftlab-sink-")
+    root = shared_folder(spark)
     out = None
     for kind in ("csv", "json", "orc", "parquet"):
         write(n, f"{root}/driftlab-nation-{kind}", kind)

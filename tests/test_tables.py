@@ -97,6 +97,84 @@ def test_compare(spark):
     assert sum(got[m, g] for m in METHODS for g in (0, 1)) <= 3
 
 
+def test_fit_counts_the_whole_table(spark, duck, sf):
+    """Counts of a fit to a sample are those of all rows, by DuckDB, given the centroids and weights."""
+    from driftlab.queries import drift
+
+    p = drift.rows_of(spark, sf)
+    fits = [fitting.fit_balanced(p, drift.XY, keys=drift.KEYS, sample_cap=1350, k_init=9), baselines.fit_table("plain_kmeans", p.where("yr < 1998"), drift.XY, 2000, keys=drift.KEYS)]
+    for hist, cond, got in ((fits[0], "true", fits[0].counts), (fits[1], "yr < 1998", fitting.recounted(fits[1], p.where("yr < 1998")).counts)):
+        rows = ", ".join(f"({k}, {float(m[0])!r}::DOUBLE, {float(m[1])!r}::DOUBLE, {float(w)!r}::DOUBLE)" for k, (m, w) in enumerate(zip(hist.centroids, hist.weights, strict=True)))
+        found = duck.execute(f"""WITH c(k, a, b, w) AS (VALUES {rows}), p AS (SELECT row_number() OVER () AS i, x, y FROM {drift.P} WHERE {cond})
+            SELECT k, count(*) FROM (SELECT i, arg_min(k, ((x - a) * (x - a) + (y - b) * (y - b)) * w * w) AS k FROM p, c GROUP BY i) GROUP BY k""").fetchall()
+        want = dict(found)
+        assert sum(got) == sum(want.values()) and sum(abs(int(n) - want.get(k, 0)) for k, n in enumerate(got)) <= 2
+    # the fit itself: 50 rows of its sample in each bin, and the first strength that gives them
+    x = fitting.take_sample(p, drift.XY, 1350, 0, drift.KEYS)
+    again = fitting.fit_array(x, drift.XY, fitting.FitOptions(k_init=9))
+    assert np.allclose(again.centroids, fits[0].centroids) and again.counts.min() >= 50 and again.counts.sum() == 1350
+    for theta in fitting.theta_grid():
+        if theta >= again.theta:
+            break
+        ratio = fitting.intensity(np.bincount(fitting.lloyd(x, fitting.greedy_seed(x, again.n_bins)[0])[1], minlength=again.n_bins))
+        w = fitting.bin_weights(ratio, theta)
+        d = ((x[:, None, :] - again.centroids[None]) ** 2).sum(axis=2) * w**2
+        assert np.bincount(d.argmin(axis=1), minlength=again.n_bins).min() < 50
+
+
+def test_samples_draw_repeated_rows_one_by_one(spark):
+    p = spark.range(3000).select((F.col("id") % 3 == 0).cast("double").alias("a"), F.lit(1.0).alias("b"))
+    got = fitting.take_sample(p, ("a", "b"), 600)[:, 0]
+    assert len(got) == 600 and 140 <= got.sum() <= 260
+
+
+def test_false_alarm_control(spark):
+    rng = np.random.default_rng(4)
+    for n, real in ((50, 8), (200, 0), (7, 7)):
+        ps = np.concatenate([rng.random(n - real), rng.random(real) * 1e-4])
+        order = np.sort(ps)
+        k = max([i + 1 for i in range(n) if order[i] <= 0.05 * (i + 1) / n], default=0)
+        df = spark.createDataFrame([(float(x),) for x in ps], "p_value double")
+        got = detect.benjamini_hochberg(df).collect()
+        assert sum(r.reject for r in got) == k and all(r.reject == (k > 0 and r.p_value <= order[k - 1]) for r in got)
+    assert detect.benjamini_hochberg(df.limit(0)).count() == 0
+
+
+def test_midpoint_tree_of_a_table(spark):
+    p = points(spark, 700)
+    x = np.array([(r.a, r.b) for r in p.collect()])
+    low, high, most, depth = x.min(axis=0), x.max(axis=0), 40, 9
+    got = {r.node: r.n for r in baselines.kd_table(p, ("a", "b"), low.tolist(), high.tolist(), depth, most).collect()}
+    want = {}
+
+    def build(rows, lo, hi, node, level):
+        if len(rows) <= most or level == depth:
+            if len(rows):
+                want[node] = len(rows)
+            return
+        j = level % 2
+        cut = (lo[j] + hi[j]) / 2
+        right = x[rows, j] > cut
+        build(rows[~right], lo, np.where(np.arange(2) == j, cut, hi), 2 * node, level + 1)
+        build(rows[right], np.where(np.arange(2) == j, cut, lo), hi, 2 * node + 1, level + 1)
+
+    build(np.arange(len(x)), low, high, 1, 0)
+    assert got == want
+
+
+def test_experiments_run_in_small(spark, sf):
+    """Sizes, dimensions and documents by the least protocol: one row per workload, method and set."""
+    from driftlab.plans import workloads
+
+    got = workloads.training_sizes(spark, (2000, 3000), 1, 2, ("2d-1G-mean",)).groupBy("workload").count().collect()
+    assert {r.workload: r["count"] for r in got} == {"2d-1G-mean/2000": 4, "2d-1G-mean/3000": 4}
+    rows = workloads.dimensions(spark, (4,), 1, 2, ("balanced", "balanced_split", "mst_runs")).collect()
+    assert len(rows) == 2 * 3 * 4
+    for which in workloads.SIZES:
+        rows = workloads.document_experiment(spark, sf, which, 1, 2, ("balanced", "plain_kmeans")).collect()
+        assert len(rows) == 8 and {r.method for r in rows} == {"balanced", "plain_kmeans"}
+
+
 def test_ml_stage(spark, tmp_path):
     p = points(spark, 500).withColumn("features", F.array("a", "b"))
     model = BalancedBins(beta=40).fit(p)
@@ -164,7 +242,7 @@ SLOW = ("exp2", "exp3", "exp4")
 @pytest.mark.parametrize("name", sorted(load()[0]))
 def test_catalogue(spark, sf, duck, name):
     if name.startswith(SLOW):
-        pytest.skip("run by bench and by the experiment tests")
+        pytest.skip("minutes long; test_experiments_run_in_small and the kernels' tests run their workloads")
     queries, oracle = load()
     df = queries[name](spark, sf)
     cols = sorted(df.columns)
