@@ -78,7 +78,10 @@ def run_trials(sets: DataFrame, features: Sequence[str], methods: Sequence[str]
                 rows.append((key[0], name, int(key[1]), int(no), drifted, p, bool(reject)))
         return pd.DataFrame(rows, columns=["workload", "method", "run", "test_no", "drifted", "p_value", "reject"]).astype({"run": "int32", "test_no": "int32"})
 
-    return sets.select("workload", "run", "test_no", "drifted", "row", *features).groupBy("workload", "run").applyInPandas(one, TRIAL)
+    # a fixed number of tasks: the sets are small, the work on them is not, so adaptive coalescing would put all groups into one task
+    tasks = 4 * sets.sparkSession.sparkContext.defaultParallelism
+    rows = sets.select("workload", "run", "test_no", "drifted", "row", *features).repartition(tasks, "workload", "run")
+    return rows.groupBy("workload", "run").applyInPandas(one, TRIAL)
 
 
 def synthetic_sets(spark: SparkSession, kinds: Sequence[str] | None = None, runs: int = 5, n_train: int = 2000, n_test: int = 200, tests: int = 20, dims: int = 2, drift: float | None = None, **options) -> DataFrame:
