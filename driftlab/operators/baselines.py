@@ -208,11 +208,61 @@ def spanning_tree(x: np.ndarray) -> np.ndarray:
     return out
 
 
+class RunsSample:
+    """A training sample with its spanning tree, to be joined with many test sets.
+
+    Edges between training rows that are not in the tree of the training rows alone are in no joint tree (with ties: need not be),
+    so a joint tree is sought among that tree's edges and those that touch a test row: distances inside the sample are computed once.
+    """
+
+    def __init__(self, a: np.ndarray):
+        self.x = np.asarray(a, float)
+        edges = spanning_tree(self.x)
+        size = ((self.x[edges[:, 0]] - self.x[edges[:, 1]]) ** 2).sum(axis=1)
+        ends, other = edges.ravel(), edges[:, ::-1].ravel()
+        order = np.argsort(ends, kind="stable")
+        self.first = np.searchsorted(ends[order], np.arange(len(self.x) + 1))
+        self.other, self.size = other[order], np.repeat(size, 2)[order]
+
+    def joined(self, b: np.ndarray) -> np.ndarray:
+        """Edges (i, j) of the spanning tree of the sample and b; rows of b follow the sample's."""
+        n, q = len(self.x), len(b)
+        total = n + q
+        if total > QUADRATIC_CAP:
+            raise ValueError(f"the spanning tree is quadratic; at most {QUADRATIC_CAP} rows")
+        x = np.concatenate([self.x, np.asarray(b, float)]) if n else np.asarray(b, float)
+        out = np.empty((max(0, total - 1), 2), np.int64)
+        best, from_ = np.full(total, np.inf), np.zeros(total, np.int64)
+        open_ = np.ones(total, bool)
+        at = 0
+        for k in range(total - 1):
+            open_[at], best[at] = False, np.inf
+            # a training row reaches test rows and its neighbours in the training tree, a test row reaches all
+            low = n if at < n else 0
+            d = ((x[low:] - x[at]) ** 2).sum(axis=1)
+            better = np.flatnonzero(open_[low:] & (d < best[low:]))
+            best[low + better], from_[low + better] = d[better], at
+            if at < n:
+                for e in range(self.first[at], self.first[at + 1]):
+                    j = self.other[e]
+                    if open_[j] and self.size[e] < best[j]:
+                        best[j], from_[j] = self.size[e], at
+            nxt = int(best.argmin())
+            out[k] = min(nxt, from_[nxt]), max(nxt, from_[nxt])
+            at = nxt
+        return out
+
+    def test(self, b: np.ndarray) -> dict:
+        return _runs(self.joined(b), len(self.x), len(b))
+
+
 def runs_test(a: np.ndarray, b: np.ndarray) -> dict:
     """Multivariate runs test: few edges of the joint tree between the samples speak for a difference."""
-    n, q = len(a), len(b)
+    return _runs(spanning_tree(np.concatenate([a, b])), len(a), len(b))
+
+
+def _runs(edges: np.ndarray, n: int, q: int) -> dict:
     total = n + q
-    edges = spanning_tree(np.concatenate([a, b]))
     runs = int(((edges < n).sum(axis=1) == 1).sum()) + 1
     degree = np.bincount(edges.ravel(), minlength=total)
     pairs = float((degree * (degree - 1)).sum()) / 2
@@ -230,10 +280,10 @@ def runs_table(tests: DataFrame, train: np.ndarray, features: Sequence[str], by:
     if len(train) > QUADRATIC_CAP:
         raise ValueError(f"the spanning tree is quadratic; at most {QUADRATIC_CAP} rows")
     ship(tests.sparkSession)
-    held = tests.sparkSession.sparkContext.broadcast(np.asarray(train, float))
+    held = tests.sparkSession.sparkContext.broadcast(RunsSample(train))
 
     def one(key, f: pd.DataFrame) -> pd.DataFrame:
-        r = runs_test(held.value, f[list(features)].to_numpy(float))
+        r = held.value.test(f[list(features)].to_numpy(float))
         return pd.DataFrame({by: [key[0]], "runs": [r["runs"]], "z": [r["z"]], "p_value": [r["p_value"]], "reject": [r["p_value"] < alpha]})
 
     kind = tests.schema[by].dataType.simpleString()

@@ -25,7 +25,7 @@ METHODS = ("balanced", "plain_kmeans", "midpoint_kd", "peel_chi2", "peel_tv", "m
 
 
 def fit_method(name: str, x: np.ndarray, features: Sequence[str], beta: int = 50, seed: int = 0, **options):
-    """A fitted model of a method; the runs test keeps the sample itself."""
+    """A fitted model of a method; the runs test keeps the sample and its tree, the density test the sample."""
     if name == "balanced":
         return fit_array(x, features, FitOptions(beta=beta, seed=seed, **options))
     if name == "balanced_split":
@@ -38,7 +38,9 @@ def fit_method(name: str, x: np.ndarray, features: Sequence[str], beta: int = 50
         return baselines.quantile_peel_array(x, features, beta=beta, seed=seed)
     if name == "grid":
         return baselines.grid_array(x, features)
-    if name in ("mst_runs", "kde"):
+    if name == "mst_runs":
+        return baselines.RunsSample(x)
+    if name == "kde":
         return np.asarray(x, float)
     raise ValueError(f"no such method: {name}")
 
@@ -46,7 +48,7 @@ def fit_method(name: str, x: np.ndarray, features: Sequence[str], beta: int = 50
 def test_method(name: str, model, tests: Sequence[np.ndarray], alpha: float = 0.05) -> list[tuple[float | None, bool]]:
     """(p-value or None, reject) of each test set."""
     if name == "mst_runs":
-        found = [baselines.runs_test(model, t)["p_value"] for t in tests]
+        found = [model.test(t)["p_value"] for t in tests]
         return [(p, p < alpha) for p in found]
     if name == "kde":
         return [(r["p_value"], r["reject"]) for r in (baselines.kde_test(model, t, alpha=alpha) for t in tests)]
@@ -147,6 +149,8 @@ def sampled_sets(same: DataFrame, other: DataFrame, workload: str, features: Seq
         return pd.DataFrame({"workload": workload, "run": int(key[0]), "test_no": res.test_no, "drifted": res.drifted, "row": res.row, **{c: res[c].astype(float) for c in features}})
 
     kinds = ", ".join(f"{c} double" for c in features)
+    # as in run_trials: adaptive coalescing would draw all runs in one task
+    spread = spread.repartition(4 * spark.sparkContext.defaultParallelism, "run")
     return spread.groupBy("run").applyInPandas(draw, f"workload string, run int, test_no int, drifted boolean, row long, {kinds}")
 
 

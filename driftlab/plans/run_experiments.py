@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from ..operators import measures
 from ..session import local_session
 from . import workloads
-from .harness import METHODS
+from .harness import METHODS, run_trials, synthetic_sets
 
 
 def markdown(rows: Sequence[Sequence], head: Sequence[str]) -> str:
@@ -39,17 +39,20 @@ def main() -> None:
     p.add_argument("--runs", type=int, default=5)
     p.add_argument("--tests", type=int, default=50)
     p.add_argument("--sf-dir", default="/root/testdata/sf0.1")
-    p.add_argument("--only", default="exp1,exp2,size,exp3,exp4")
+    p.add_argument("--only", default=",".join(["exp1", "exp2", "slide", "size", "exp3", *(f"exp4_{w}" for w in workloads.SIZES)]))
+    p.add_argument("--methods", default=",".join(METHODS), help="methods of exp2 and exp4")
     a = p.parse_args()
     spark = local_session(spark__driver__memory="8g")
     spark.sparkContext.setLogLevel("ERROR")
     histograms = METHODS[:-1]
+    methods = a.methods.split(",")
     jobs = {
         "exp1": lambda: markdown([[r.shape, r.method, f"{r.intensity_sd:.4f}", r.min_count, r.max_count] for r in workloads.partition_experiment(spark).collect()], ["shape", "method", "sd of shares", "least", "most"]),
-        "exp2": lambda: error_grid(workloads.two_dimensional(spark, a.runs, a.tests), METHODS),
-        "size": lambda: error_grid(workloads.training_sizes(spark, runs=a.runs, tests=a.tests, kinds=None), ("balanced",)),
+        "exp2": lambda: error_grid(workloads.two_dimensional(spark, a.runs, a.tests, methods=methods), methods),
+        "slide": lambda: error_grid(run_trials(synthetic_sets(spark, ["2d-U-mean"], a.runs, tests=a.tests, slide=True), ("x1", "x2"), histograms), histograms),
+        "size": lambda: "\n\n".join(error_grid(workloads.training_sizes(spark, runs=a.runs, tests=a.tests, kinds=None, expected=e), ("balanced",)) for e in (True, False)),
         "exp3": lambda: error_grid(workloads.dimensions(spark, runs=max(1, a.runs // 2), tests=a.tests), histograms),
-        "exp4": lambda: "\n\n".join(error_grid(workloads.document_experiment(spark, a.sf_dir, w, a.runs, a.tests), METHODS) for w in workloads.SIZES),
+        **{f"exp4_{w}": lambda w=w: error_grid(workloads.document_experiment(spark, a.sf_dir, w, a.runs, a.tests, methods), methods) for w in workloads.SIZES},
     }
     for name in a.only.split(","):
         start = time.perf_counter()

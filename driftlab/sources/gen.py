@@ -22,11 +22,16 @@ TWO = ((4.0, 0.0), (0.0, 0.0))
 FOUR = ((0.0, 0.0), (5.0, 0.0), (0.0, 5.0), (5.0, 5.0))
 
 
-def point(kind: str, row: Column, drift: float = 0.0, seed: int | str = 0, run: int | str = 0, dims: int = 2, mean_shift: bool = False, mixture: str = "fixed") -> list[Column]:
-    """The coordinates of one row. mean_shift: the variance and covariance workloads also move the mean, as their printed table has it."""
+def point(kind: str, row: Column, drift: float = 0.0, seed: int | str = 0, run: int | str = 0, dims: int = 2, mean_shift: bool = False, mixture: str = "fixed", slide: bool = False) -> list[Column]:
+    """The coordinates of one row.
+
+    mean_shift: the variance and covariance workloads also move the mean, as their printed table has it.
+    slide: the uniform workload's first coordinate moves as a whole instead of growing its range.
+    """
     extra = [normal(seed, row, j, run) for j in range(10, 10 + dims - 2)]
     if kind == "2d-U-mean":
-        first = [uniform(seed, row, 0, run) * (1 + drift), uniform(seed, row, 1, run)]
+        u = uniform(seed, row, 0, run)
+        first = [u + drift if slide else u * (1 + drift), uniform(seed, row, 1, run)]
         return first + [uniform(seed, row, 10 + j, run) for j in range(dims - 2)]
     g0, g1 = normal(seed, row, 1, run), normal(seed, row, 2, run)
     if kind == "2d-1G-mean":

@@ -152,6 +152,18 @@ def test_runs_by_hand():
         baselines.spanning_tree(np.zeros((baselines.QUADRATIC_CAP + 1, 1)))
 
 
+def test_shared_training_tree():
+    rng = np.random.default_rng(3)
+    for n, q, m in ((1, 1, 2), (1, 6, 2), (9, 1, 3), (120, 40, 2), (60, 90, 7)):
+        a, b = rng.normal(size=(n, m)), rng.normal(size=(q, m)) + 0.3
+        assert baselines.RunsSample(a).test(b) == baselines.runs_test(a, b)
+    a, b = rng.integers(0, 5, (80, 2)).astype(float), rng.integers(0, 5, (30, 2)).astype(float)  # ties: a tree of the same length
+    x = np.concatenate([a, b])
+    length = lambda e: ((x[e[:, 0]] - x[e[:, 1]]) ** 2).sum()
+    got = baselines.RunsSample(a).joined(b)
+    assert len(got) == 109 and length(got) == length(baselines.spanning_tree(x))
+
+
 def test_boruvka_is_prim(spark):
     x = gauss(40, 6)
     df = spark.createDataFrame([(i, float(a), float(b)) for i, (a, b) in enumerate(x)], "id long, a double, b double")
