@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions.chisq import normal_cdf
 from ..session import ship
-from .fitting import SAMPLE_CAP, lloyd, take_sample
+from .fitting import SAMPLE_CAP, lloyd, start_rows, take_sample
 from .histogram import BoxTree, CategoryHistogram, CentroidHistogram, GridHistogram, RuleHistogram
 
 #: The quadratic baselines refuse more rows than this.
@@ -23,11 +23,10 @@ QUADRATIC_CAP = 20_000
 # ------------------------------------------------------------------ fits on arrays
 
 
-def plain_kmeans_array(x: np.ndarray, features: Sequence[str], k: int | None = None, beta: int = 50, max_iter: int = 100, seed: int = 0) -> CentroidHistogram:
+def plain_kmeans_array(x: np.ndarray, features: Sequence[str], k: int | None = None, beta: int = 50, max_iter: int = 100, seed: int = 0, init: str = "random") -> CentroidHistogram:
     """Random-start k-means, unit weights, no control of counts."""
     k = k or max(1, len(x) // beta)
-    init = x[np.random.default_rng(seed).choice(len(x), k, replace=False)]
-    mu, label, passes = lloyd(x, init, max_iter)
+    mu, label, passes = lloyd(x, start_rows(x, k, init, seed), max_iter)
     return CentroidHistogram(features=tuple(features), counts=np.bincount(label, minlength=k), kind="plain_kmeans", centroids=mu, weights=np.ones(k), params={"passes": passes})
 
 

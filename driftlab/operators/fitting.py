@@ -28,8 +28,8 @@ class FitOptions:
     beta: least count of a bin. k_init: first number of bins, rows / beta by default. ratio: 'relative' (count
     over expected count) or 'share' (count over rows). stop: 'first' feasible strength, 'last' of
     the grid only, or 'best' (most even counts). search: 'linear', 'waves' (parallel tasks) or
-    'bisect' (approximate: feasibility is not monotone). fallback: 'random' k-means with unit
-    weights. init: 'greedy' or 'random'. expect_test_size: also ask for 5 expected test rows in each bin.
+    'bisect' (approximate: feasibility is not monotone). fallback: k-means with unit weights from 'random' rows or
+    from the 'first' ones, which are a random choice of a sample drawn by keys. init: 'greedy', 'random' or 'first'. expect_test_size: also ask for 5 expected test rows in each bin.
     scale: 'none', 'zscore', 'minmax' or 'robust'. nn: neighbour engine 'incremental', 'brute' or 'grid'.
     sample_cap: rows of the table that a fit sees, drawn by a hash of the columns `keys` (of the row's place without). recount: the histogram of
     a table carries the counts of the whole table, not of the rows it was fitted to. count_share: share of a sample that is kept from the fit
@@ -73,6 +73,13 @@ def block_sizes(n: int, k: int) -> list[int]:
 
 def _distances(x: np.ndarray, rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
     a, b = x[rows], x[cols]
+    if x.shape[1] < 8:  # by differences: equal distances are equal to the last bit, so ties go to the lower row
+        d = np.zeros((len(a), len(b)))
+        for j in range(x.shape[1]):
+            gap = a[:, j, None] - b[None, :, j]
+            gap *= gap
+            d += gap
+        return d
     d = (a**2).sum(1)[:, None] + (b**2).sum(1)[None, :] - 2 * a @ b.T
     return np.maximum(d, 0.0)
 
@@ -81,7 +88,7 @@ class Neighbours:
     """Squared distance to the nearest remaining row, for each remaining row."""
 
     def __init__(self, x: np.ndarray, how: str = "incremental"):
-        self.x, self.how = x - x.mean(axis=0), how
+        self.x, self.how = x - x.mean(axis=0) if x.shape[1] >= 8 else x, how
         self.left = np.ones(len(x), bool)
         self.near = np.full(len(x), -1)
         self.dist = np.full(len(x), np.inf)
@@ -275,12 +282,19 @@ def theta_table(df: DataFrame, features: Sequence[str], centroids: np.ndarray, r
 # ------------------------------------------------------------------ the whole fit
 
 
+def start_rows(x: np.ndarray, k: int, how: str, seed) -> np.ndarray:
+    """k rows to start from: 'random' ones, or the 'first' ones of a sample that is in random order already."""
+    if how not in ("random", "first"):
+        raise ValueError("rows to start from are 'random' or 'first'")
+    return x[:k] if how == "first" else x[np.random.default_rng(seed).choice(len(x), k, replace=False)]
+
+
 def try_k(x: np.ndarray, k: int, o: FitOptions) -> tuple[float, np.ndarray, np.ndarray, np.ndarray, int, int] | None:
     """(theta, centroids, weights, counts, passes, thetas tried) if k bins are feasible."""
     if o.init == "greedy":
         seeds, _ = greedy_seed(x, k, nn=o.nn)
     else:
-        seeds = x[np.random.default_rng([o.seed, k]).choice(len(x), k, replace=False)]
+        seeds = start_rows(x, k, o.init, [o.seed, k])
     mu, label, passes = lloyd(x, seeds, o.max_iter, o.tol)
     found = theta_search(x, mu, intensity(np.bincount(label, minlength=k), o.ratio), o)
     return None if found is None else (found[0], mu, found[1], found[2], passes, found[3])
@@ -292,9 +306,9 @@ def first_k(n: int, o: FitOptions) -> int:
 
 
 def _one_bin(x: np.ndarray, features: Sequence[str], o: FitOptions, trail: tuple) -> CentroidHistogram:
-    """Nothing was feasible: k-means from random rows with unit weights, on the first K."""
+    """Nothing was feasible: k-means from random (or the first) rows with unit weights, on the first K."""
     k = first_k(len(x), o)
-    init = x[np.random.default_rng(o.seed).choice(len(x), k, replace=False)]
+    init = start_rows(x, k, o.fallback, o.seed)
     mu, label, _ = lloyd(x, init, o.max_iter, o.tol)
     return CentroidHistogram(features=tuple(features), counts=np.bincount(label, minlength=k), kind="fallback", centroids=mu, weights=np.ones(k), trail=trail)
 
@@ -360,10 +374,10 @@ def fit_array(x: np.ndarray, features: Sequence[str], o: FitOptions | None = Non
 def take_sample(df: DataFrame, features: Sequence[str], cap: int | None, seed: int = 0, keys: Sequence[str] = ()) -> np.ndarray:
     """At most cap rows of smallest hash, as an array; all rows where cap is None, which must then be few.
 
-    The hash is of the key columns, or, without, of the row's place in the table, so rows of equal features are drawn each by itself. With keys the
-    sample does not depend on how the table is split.
+    The hash is the MD5 of seed and key columns, or, without keys, a hash of the row's place in the table, so rows of equal features are drawn each by
+    itself. With keys the sample and its order do not depend on how the table is split, and other engines can draw it too.
     """
-    drawn = F.xxhash64(F.lit(seed), *(keys or [F.monotonically_increasing_id()]))
+    drawn = F.md5(F.concat_ws(":", F.lit(str(seed)), *(F.col(k).cast("string") for k in keys))) if keys else F.xxhash64(F.lit(seed), F.monotonically_increasing_id())
     rows = df.select(*(F.col(f).cast("double").alias(f) for f in features), drawn.alias("__draw"))
     if cap is not None:
         rows = rows.orderBy("__draw", *features).limit(cap)

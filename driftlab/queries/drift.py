@@ -15,6 +15,7 @@ from ..plans.workloads import offset_toy
 from ..sources import gen
 from ..sources.tables import BIGRAMS, VOWELS, event_features, hash_top, letter_shares, stratified, table, text_features
 from . import query
+from .fit_sql import ABLATIONS, fallback, fit_sql, kmeans_test, whole
 
 # ------------------------------------------------------------------ the fixed histogram on lineitem
 
@@ -22,7 +23,7 @@ CENTRES = ((0.25, 0.25), (0.25, 0.75), (0.75, 0.25), (0.75, 0.75))
 WEIGHTS = (1.0, 0.8, 1.25, 1.0)
 XY = ("x", "y")
 #: Columns that tell the rows of lineitem apart, for samples.
-KEYS = ("l_orderkey", "l_linenumber", "l_partkey", "x", "y")
+KEYS = ("l_orderkey", "l_linenumber", "l_partkey")
 P = "(SELECT *, l_quantity / 50 AS x, l_extendedprice / 105000 AS y, year(l_shipdate) AS yr FROM lineitem)"
 
 
@@ -227,41 +228,50 @@ def _describe(spark, hist) -> DataFrame:
     return spark.createDataFrame([(hist.kind, hist.n_bins, float(hist.theta), int(hist.counts.min()), int(hist.counts.sum()))], "kind string, n_bins int, theta double, min_count int, n_train int")
 
 
-@query()
+_FIT = fit_sql(P, KEYS, 2000, whole(P))
+
+
+@query(_FIT)
 def fit_balanced_small(spark, d):
     return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000))
 
 
-@query()
+@query(_FIT)
 def fit_balanced_waves(spark, d):
     return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, search="waves"))
 
 
-@query()
+@query(fit_sql(P, KEYS, 1350, whole(P), k_init=9))
 def fit_fixed_k(spark, d):
     return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=1350, k_init=9))
 
 
-@query()
+@query(fit_sql(P, KEYS, 500, fallback(P, 4), beta=400, k_init=4))
 def fit_fallback(spark, d):
-    """No number of bins can hold so many rows each: the fallback."""
-    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=500, beta=400, k_init=4))
+    """No number of bins can hold so many rows each: the fallback, from the first rows of the sample."""
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=500, beta=400, k_init=4, fallback="first"))
 
 
-@query()
+@query(fit_sql(P, KEYS, 2000, whole(P), feasible="150 * min(c.n) / (SELECT n FROM size) >= 5"))
 def fit_expected5(spark, d):
     return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, expect_test_size=150))
 
 
-@query()
+@query(fit_sql(P, KEYS, 2000, whole(P), ratio="share"))
 def fit_share_ratio(spark, d):
     return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, ratio="share"))
 
 
-@query()
+@query(fit_sql(P, KEYS, 2000, whole(P), init="first"))
+def fit_random_start(spark, d):
+    """No seeding: clustering starts from the first rows of the sample, whose order is random."""
+    return _describe(spark, fitting.fit_balanced(rows_of(spark, d), XY, keys=KEYS, sample_cap=2000, init="first"))
+
+
+@query(fit_sql(P, KEYS, 2000, ABLATIONS))
 def fit_ablations(spark, d):
-    """Random start, no rescaling, even counts, bisection: one row each."""
-    changes = {"random_start": {"init": "random"}, "no_rescale": {"grid": (0.0,)}, "last": {"stop": "last"}, "best": {"stop": "best"}, "bisect": {"search": "bisect"}, "grid_nn": {"nn": "grid"}}
+    """No rescaling, the last strength, even counts, bisection, the grid of neighbours: one row each."""
+    changes = {"no_rescale": {"grid": (0.0,)}, "last": {"stop": "last"}, "best": {"stop": "best"}, "bisect": {"search": "bisect"}, "grid_nn": {"nn": "grid"}}
     x = fitting.take_sample(rows_of(spark, d), XY, 2000, keys=KEYS)
     rows = []
     for name, c in changes.items():
@@ -485,11 +495,11 @@ def offset_closed_form(spark, d):
 # ------------------------------------------------------------------ baselines
 
 
-@query()
+@query(kmeans_test(P, KEYS, 2000, "yr < 1998", _test_sql("SELECT o, t FROM counted", "")))
 def plain_kmeans_test(spark, d):
     """Bins fitted to 2 000 rows; both rows of the table of counts are of all rows of their years."""
     p = rows_of(spark, d)
-    hist = baselines.fit_table("plain_kmeans", p.where("yr < 1998"), XY, 2000, keys=KEYS)
+    hist = baselines.fit_table("plain_kmeans", p.where("yr < 1998"), XY, 2000, keys=KEYS, init="first")
     return _short(detect.detect(hist, p.where("yr >= 1998"), train=p.where("yr < 1998"), how="arrow"))
 
 
