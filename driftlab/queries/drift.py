@@ -15,7 +15,7 @@ from ..plans.workloads import offset_toy
 from ..sources import gen
 from ..sources.tables import BIGRAMS, VOWELS, event_features, hash_top, letter_shares, stratified, table, text_features
 from . import query
-from .fit_sql import ABLATIONS, fallback, fit_sql, kmeans_test, whole
+from .fit_sql import ABLATIONS, fallback, fit_sql, kmeans_test, spanning_sql, whole
 
 # ------------------------------------------------------------------ the fixed histogram on lineitem
 
@@ -566,7 +566,10 @@ def peel_threshold(spark, d):
     return baselines.threshold_table(spark, [(s, counts, 200, a) for s in ("chi2", "tv") for a in (0.01, 0.05, 0.1)])
 
 
-@query()
+_NATIONS = "(SELECT k AS id, (k * 37 % 101)::DOUBLE AS x, (r * 53 + k * k % 89)::DOUBLE AS y FROM (SELECT n_nationkey::BIGINT AS k, n_regionkey::BIGINT AS r FROM nation))"
+
+
+@query(spanning_sql(_NATIONS))
 def mst_edges_small(spark, d):
     """Spanning tree of the nations by rounds of joins."""
     n = table(spark, d, "nation")

@@ -163,7 +163,8 @@ def stream_detect(spark, d):
     return got.select(F.unix_micros("start").alias("start"), F.round("stat", 6).alias("stat"), F.round("p_value", 6).alias("p_value"), "reject", "n_test")
 
 
-@query()
+@query("""SELECT count(DISTINCT date_trunc('day', ts))::BIGINT AS dropped FROM (SELECT TIMESTAMP '2024-01-26 12:00:00' AS ts FROM range(20))
+          WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR""")
 def stream_late(spark, d):
     """Rows that come three days late are dropped; the operator counts them behind its partial counts, so rows of one window and bin count once."""
     src = _shared(spark, "late-in")

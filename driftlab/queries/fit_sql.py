@@ -102,3 +102,15 @@ ABLATIONS = """, last AS (SELECT * FROM tried WHERE ok AND theta = (SELECT max(t
         UNION ALL SELECT 'grid_nn', k, theta, low FROM best QUALIFY k = max(k) OVER ()
         UNION ALL SELECT 'bisect', k, theta, low FROM best WHERE k = (SELECT max(hit) FROM halve))
     SELECT variant, 'balanced' AS kind, k::INTEGER AS n_bins, theta::DOUBLE AS theta, low::INTEGER AS min_count FROM picked"""
+
+
+def spanning_sql(points: str) -> str:
+    """Edges of the spanning tree of (id, x, y), grown from the smallest id by the lightest edge out, ties by lower ids."""
+    return f"""WITH RECURSIVE p AS MATERIALIZED ({points[1:-1]}),
+    e AS MATERIALIZED (SELECT p.id AS a, q.id AS b, (p.x - q.x) * (p.x - q.x) + (p.y - q.y) * (p.y - q.y) AS d2 FROM p JOIN p q ON p.id < q.id),
+    grown(held, a, b, d2) AS (
+        SELECT [min(id)], NULL::BIGINT, NULL::BIGINT, NULL::DOUBLE FROM p
+        UNION ALL
+        SELECT * FROM (SELECT list_append(held, CASE WHEN list_contains(held, e.a) THEN e.b ELSE e.a END), e.a, e.b, e.d2 FROM grown g, e
+            WHERE list_contains(held, e.a) <> list_contains(held, e.b) ORDER BY e.d2, e.a, e.b LIMIT 1) t)
+    SELECT a, b, d2 FROM grown WHERE a IS NOT NULL"""
