@@ -18,6 +18,12 @@ order with their common-prefix lengths; stretches that share the guaranteed pref
 in a class a window at offset a before the anchor repeats if two entries share a bytes to the
 left and length - a to the right, which the common-prefix lengths of both sides tell exactly.
 
+Hot classes are split before the exchange: a prefix that more than `HOT` documents share has its windows dealt by
+bands of `BAND` offsets, and each band's suffix starts so far before the anchor that all but BAND - 1 bytes of its windows are the guaranteed
+prefix, whose hash deals it. Equal windows have one offset, so one band and one bucket; a passage met in
+many surroundings falls into as many classes as its surroundings differ. A suffix that a task holds twice has told all it
+can: its places are put out at once, dealt evenly, and the run carries it without them.
+
 Whole copies: one row of each text takes part, and a text that several rows have is removed where any window covers it.
 
 Defined cases: null text is empty; texts shorter than `length` are left whole; rows with null ids
@@ -29,6 +35,8 @@ suffixes to sort; whether texts are one is told by BLAKE2 and SHA-256 digests, w
 from __future__ import annotations
 
 import hashlib
+import uuid
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,6 +50,11 @@ _U = np.uint64
 GRAM = 16
 #: Bytes of suffix text that a task sorts into one run.
 RUN_BYTES = 12 << 20
+#: Documents that share a guaranteed prefix before its class is split by bands of offsets, and the offsets of a band.
+HOT = 1000
+BAND = 16
+#: Tasks that the documents of a hot key are dealt to when they are told that it is hot.
+SALTS = 64
 
 
 def common_prefix(a: bytes, b: bytes, known: int = 0) -> int:
@@ -127,7 +140,10 @@ def _key_rows(length: int):
 
 
 class Run:
-    """A sorted, front-coded run of suffixes. Entries: right bytes, left bytes (reversed), first and last offset, places."""
+    """A sorted, front-coded run of suffixes. Entries: right bytes, left bytes (reversed), first and last offset, place.
+
+    An entry with several places is known to repeat: it is written without them, and read with none.
+    """
 
     @staticmethod
     def encode(entries: list[tuple[bytes, bytes, int, int, list[tuple[int, int]]]]) -> bytes:
@@ -135,9 +151,10 @@ class Run:
         right = left = b""
         for r, l, lo, hi, where in entries:
             kr, kl = common_prefix(right, r), common_prefix(left, l)
-            head.append((kr, len(r), kl, len(l), lo, hi, len(where)))
+            head.append((kr, len(r), kl, len(l), lo, hi, len(where) == 1))
             tails += [r[kr:], l[kl:]]
-            places += where
+            if len(where) == 1:
+                places += where
             right, left = r, l
         table = np.array(head, np.int32).reshape(-1, 7)
         spots = np.array(places, np.int64).reshape(-1, 2)
@@ -218,12 +235,27 @@ class LoserTree:
             self.winner = player
 
 
+def bands(raw: bytes, x: int, first: int, last: int, length: int) -> Iterator[tuple[int, bytes, bytes, int, int, int]]:
+    """(hash of the guaranteed prefix, right, left, first, last offset, place) of each band of the windows first..last before anchor x."""
+    wide = band_width(length)
+    lo, hi = x - last, x - first
+    for low in range(lo - lo % wide, hi + 1, wide):
+        a, b, y = max(lo, low), min(hi, low + wide - 1), x - low
+        yield zlib.crc32(raw[y : y + length - wide + 1], low), raw[y : x - a + length], raw[x - b : y][::-1], a - low, b - low, y
+
+
+def band_width(length: int) -> int:
+    return max(1, min(BAND, length // 4))
+
+
 def _sorted_runs(length: int, buckets: int):
-    """Suffixes at shared anchors, sorted and front-coded per task and bucket."""
-    half = length // 2
+    """Suffixes at shared anchors, sorted and front-coded per task and bucket.
 
-    def flush(held: list[list]) -> pa.RecordBatch | None:
-        ids, blobs = [], []
+    Buckets below `buckets` are of whole classes, the next as many of bands of hot ones, those behind hold places (doc_id, start, end) that are settled.
+    """
+
+    def flush(held: list[list], turn: int) -> pa.RecordBatch | None:
+        ids, blobs, settled = [], [], []
         for bucket, part in enumerate(held):
             if not part:
                 continue
@@ -234,19 +266,25 @@ def _sorted_runs(length: int, buckets: int):
                     folded[-1][4].append((d, x))
                 else:
                     folded.append((r, l, lo, hi, [(d, x)]))
+            settled += [(d, x - hi, x - lo + length) for _, _, lo, hi, where in folded if len(where) > 1 for d, x in where]
             ids.append(bucket)
             blobs.append(Run.encode(folded))
             part.clear()
+        if settled:
+            ids.append(2 * buckets + turn % buckets)
+            blobs.append(np.array(settled, np.int64).tobytes())
         return pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "run"]) if ids else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list] = [[] for _ in range(buckets)]
-        weight = 0
+        held: list[list] = [[] for _ in range(2 * buckets)]
+        weight, turn = 0, uuid.uuid4().int % buckets
         for b in batches:
             names = b.schema.names
             ids = b.column(names.index("doc_id")).to_pylist()
             lists = b.column(names.index("keys")).cast(pa.large_list(pa.int64()))
             koff, kval = lists.offsets.to_numpy(), lists.values.to_numpy(zero_copy_only=False).view(np.uint64)
+            often = b.column(names.index("hot")).cast(pa.large_list(pa.int64()))
+            hoff, hval = often.offsets.to_numpy(), often.values.to_numpy(zero_copy_only=False).view(np.uint64)
             flat, off = text_buffer(b.column(names.index("text")))
             for i, j in chunks(off):
                 if koff[i] == koff[j]:
@@ -254,31 +292,39 @@ def _sorted_runs(length: int, buckets: int):
                 a = off[i]
                 part, inner = flat[a : off[j]], off[i : j + 1] - a
                 place, first, last, doc, key = anchors(part, inner, length)
-                held_doc = np.repeat(np.arange(j - i), np.diff(koff[i : j + 1]))
-                with np.errstate(over="ignore"):
-                    tag = mix64(kval[koff[i] : koff[j]] + held_doc.astype(_U) * _U(0x9E3779B97F4A7C15))
-                    own = mix64(key + doc.astype(_U) * _U(0x9E3779B97F4A7C15))
-                hit = np.flatnonzero(np.isin(own, tag))
+                own = _tags(key, doc)
+                hit = np.flatnonzero(np.isin(own, _tags(kval[koff[i] : koff[j]], np.repeat(np.arange(j - i), np.diff(koff[i : j + 1])))))
+                hot = np.isin(own[hit], _tags(hval[hoff[i] : hoff[j]], np.repeat(np.arange(j - i), np.diff(hoff[i : j + 1]))))
                 raw = part.tobytes()
                 cells = (mix64(key[hit]) % _U(buckets)).tolist()
                 starts = inner[doc[hit]].tolist()
-                for cell, x, f, l, d, s in zip(cells, place[hit].tolist(), first[hit].tolist(), last[hit].tolist(), doc[hit].tolist(), starts, strict=True):
+                for cell, x, f, l, d, s, split in zip(cells, place[hit].tolist(), first[hit].tolist(), last[hit].tolist(), doc[hit].tolist(), starts, hot.tolist(), strict=True):
+                    if split:
+                        for h, right, left, lo, hi, y in bands(raw, x, f, l, length):
+                            held[buckets + h % buckets].append((right, left, lo, hi, ids[i + d], y - s))
+                            weight += length + 80
+                        continue
                     # a window at p covers [p, p + length); the anchor's own bytes reach length - (x - l) to the right
                     held[cell].append((raw[x : l + length], raw[f:x][::-1], x - l, x - f, ids[i + d], x - s))
                     weight += l - f + length + 80
                 if weight >= RUN_BYTES:
-                    out = flush(held)
-                    weight = 0
+                    out = flush(held, turn)
+                    weight, turn = 0, turn + 1
                     if out:
                         yield out
-        out = flush(held)
+        out = flush(held, turn)
         if out:
             yield out
 
-    del half
     return run
 
 
+def _tags(key: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """One number for a key in a document of a chunk."""
+    with np.errstate(over="ignore"):
+        return mix64(key + doc.astype(_U) * _U(0x9E3779B97F4A7C15))
+
+
 def repeated_offsets(entries: list, shared: list[int], length: int) -> list[list[tuple[int, int]]]:
     """For each distinct entry of a class (right, left, lo, hi, n_places), in order of right: ranges of offsets whose window repeats.
 
@@ -320,17 +366,17 @@ def repeated_offsets(entries: list, shared: list[int], length: int) -> list[list
     return out
 
 
-def _merge(length: int):
+def _merge(length: int, buckets: int):
     """Merges a bucket's runs; puts out (doc_id, start, end) of removed bytes."""
-    prefix = length - length // 2 + 1
 
-    def bucket_rows(blobs: list[bytes]) -> Iterator[tuple[list, list, list]]:
+    def bucket_rows(bucket: int, blobs: list[bytes]) -> Iterator[tuple[list, list, list]]:
+        prefix = length - length // 2 + 1 if bucket < buckets else length - band_width(length) + 1
         docs, starts, ends = [], [], []
         group: list = []
         shared: list[int] = []
 
         def close() -> None:
-            if not group or (len(group) == 1 and len(group[0][4]) == 1):
+            if len(group) < 2:  # alone, or settled where it was sorted
                 return
             # entries with the same right and left context are one, wherever they stand among equal rights
             distinct: dict = {}
@@ -339,13 +385,14 @@ def _merge(length: int):
                 least = min(least, k)
                 e = distinct.get((r, l))
                 if e is None:
-                    distinct[(r, l)] = [r, l, lo, hi, list(where)]
+                    distinct[(r, l)] = [r, l, lo, hi, list(where), 1 if where else 2]
                     merged.append(distinct[(r, l)])
                     links.append(least)
                     least = length
                 else:
                     e[4].extend(where)
-            for e, ranges in zip(merged, repeated_offsets([(*e[:4], len(e[4])) for e in merged], links, length), strict=True):
+                    e[5] = 2
+            for e, ranges in zip(merged, repeated_offsets([(*e[:4], e[5]) for e in merged], links, length), strict=True):
                 for lo, hi in ranges:
                     for d, x in e[4]:
                         docs.append(d)
@@ -368,12 +415,15 @@ def _merge(length: int):
         at, blobs = None, []
 
         def done() -> Iterator[pa.RecordBatch]:
-            for d, s, e in bucket_rows(blobs):
+            for d, s, e in bucket_rows(at, blobs):
                 if d:
                     yield pa.RecordBatch.from_arrays([pa.array(d, pa.int64()), pa.array(s, pa.int64()), pa.array(e, pa.int64())], names=["doc_id", "start", "end"])
 
         for b in batches:
             for bucket, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                if bucket >= 2 * buckets:
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.frombuffer(blob, np.int64).reshape(-1, 3).T.copy()], names=["doc_id", "start", "end"])
+                    continue
                 if bucket != at and blobs:
                     yield from done()
                     blobs = []
@@ -436,12 +486,18 @@ def cut_repeated_bytes(docs: DataFrame, length: int = 400, id_col: str = "doc_id
     keys = texts.mapInArrow(_key_rows(length), "key long, doc_id long, salt long, shared boolean, what long")
     at = Window.partitionBy("key", "salt")
     spread = F.col("shared") | (F.min("what").over(at) != F.max("what").over(at)) | F.max("shared").over(at)
-    listed = keys.withColumn("spread", spread).where("spread").groupBy("doc_id").agg(F.collect_set("key").alias("keys"))
+    # written once: its keys are counted and listed
+    listed = cut(keys.withColumn("spread", spread).where("spread").select("key", "doc_id"))
+    hot = listed.groupBy("key").agg(F.count("*").alias("rows")).where(F.col("rows") > HOT).select("key", F.col("key").alias("hot"))
+    # hot keys are few, at most one in HOT rows: each stands in SALTS places, among which its documents are dealt
+    hot = hot.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))).withColumn("salt", F.col("salt").cast("long"))
+    listed = listed.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))).join(hot, ["key", "salt"], "left").groupBy("doc_id").agg(F.collect_set("key").alias("keys"), F.collect_set("hot").alias("hot"))
     # the row that speaks for a text may not be the row that led its chunk: keys of copies go to it
     rows = digest.join(low, "digest").select("doc_id", "rep")
-    asked = listed.join(rows, "doc_id", "left").groupBy(F.coalesce("rep", "doc_id").alias("doc_id")).agg(F.array_distinct(F.flatten(F.collect_list("keys"))).alias("keys"))
-    runs = texts.join(asked, "doc_id", "left").select("doc_id", "text", "keys").mapInArrow(_sorted_runs(length, buckets), "bucket int, run binary")
-    spans = runs.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_merge(length), "doc_id long, start long, end long")
+    flat = lambda c: F.array_distinct(F.flatten(F.collect_list(c))).alias(c)
+    asked = listed.join(rows, "doc_id", "left").groupBy(F.coalesce("rep", "doc_id").alias("doc_id")).agg(flat("keys"), flat("hot"))
+    runs = texts.join(asked, "doc_id", "left").select("doc_id", "text", "keys", "hot").mapInArrow(_sorted_runs(length, buckets), "bucket int, run binary")
+    spans = runs.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_merge(length, buckets), "doc_id long, start long, end long")
     by_doc = spans.groupBy("doc_id").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
     marks = by_doc.join(copies.select("doc_id", "copy"), "doc_id", "full")
     out = texts.join(marks, "doc_id", "left").select("doc_id", "text", "spans", "copy").mapInArrow(

@@ -183,6 +183,31 @@ def test_cut_repeated_bytes(spark, monkeypatch):
     assert sorted((str(r.doc_id), r.n_bytes, r.n_removed) for r in got) == [("3", 419, 0), ("None", 399, 0), ("None", 500, 500)]
 
 
+def test_hot_classes_are_split(spark, monkeypatch):
+    """A passage in most documents, with other surroundings in each: classes split by bands give the result of brute force."""
+    monkeypatch.setattr(suffix_dedup, "RUN_BYTES", 4000)
+    rng = random.Random(11)
+    word = lambda n: "".join(rng.choice("abcdefgh") for _ in range(n))
+    for hot, w in ((2, 40), (0, 100)):
+        monkeypatch.setattr(suffix_dedup, "HOT", hot)
+        passage, ends = word(170), [word(30) for _ in range(3)]
+        rows = [(i, word(rng.randint(0, 60)) + rng.choice(ends)[: rng.randint(0, 30)] + passage[rng.choice([0, 0, 0, 5, 40]) :] + rng.choice(ends)[rng.randint(0, 30) :] + word(20)) for i in range(60)]
+        rows += [(100 + i, passage[:100] * 2) for i in range(3)] + [(200, None), (201, "z" * 300)]
+        got = suffix_dedup.cut_repeated_bytes(docs(spark, rows).repartition(7), length=w, buckets=5).collect()
+        assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got} == brute_bytes(rows, w)
+
+
+def test_bands_of_equal_windows_meet():
+    """Equal windows around equal anchors fall into a band of one hash, and their suffixes share its guaranteed prefix."""
+    raw, length = bytes(random.Random(1).choices(b"abc", k=400)), 64
+    for first, last in ((100, 130), (103, 118)):
+        for h, right, left, lo, hi, y in suffix_dedup.bands(raw, 130, first, last, length):
+            assert (h, right[: length - 15]) in {(g, r[: length - 15]) for g, r, *_ in suffix_dedup.bands(raw, 130, 99, 130, length)}
+            for a in range(lo, hi + 1):
+                p = y - a
+                assert first <= p <= last and raw[p : p + length] == left[:a][::-1] + right[: length - a]
+
+
 def thue_morse(n, a, b):
     return bytes(b if i.bit_count() % 2 else a for i in range(n)).decode()
 
