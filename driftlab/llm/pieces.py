@@ -85,9 +85,13 @@ class Lattices:
                     ends.append(-1)
                 at = nxt
             ends[at] = k
+        # a row of 256 next states for each state that has any; row 0 is of the others
         keys = np.fromiter(step.keys(), np.int64, len(step))
-        order = np.argsort(keys)
-        self.keys, self.next = keys[order], np.fromiter(step.values(), np.int64, len(step))[order]
+        inner, at = np.unique(keys >> 8, return_inverse=True)
+        self.row = np.zeros(len(ends), np.int32)
+        self.row[inner] = np.arange(1, len(inner) + 1)
+        self.next = np.full((len(inner) + 1, 256), -1, np.int32)
+        self.next[at + 1, keys & 255] = np.fromiter(step.values(), np.int64, len(step))
         self.ends = np.array(ends)
         # states behind one and two bytes, looked up without a search
         self.one = np.array([step.get(b, -1) for b in range(256)])
@@ -173,10 +177,7 @@ class Lattices:
             elif depth == 1:
                 nxt = self.two[text[at] << 8 | text[at + 1]]
             else:
-                key = state << 8 | text[at + depth]
-                hit = np.searchsorted(self.keys, key)
-                hit[hit == len(self.keys)] = 0
-                nxt = np.where(self.keys[hit] == key, self.next[hit], -1)
+                nxt = self.next[self.row[state], text[at + depth]]
             good = nxt >= 0
             at, state = at[good], nxt[good]
             depth += 1
